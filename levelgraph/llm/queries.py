@@ -2,10 +2,18 @@
 
 from __future__ import annotations
 
+from levelgraph.llm.licences import op8_licences
+from levelgraph.llm.mixing import op2_source_mix
 from levelgraph.llm.near_duplicates import op1_near_duplicates
+from levelgraph.llm.pii import op10_personal_data
+from levelgraph.llm.token_output import op3_token_output
 
 QUERIES = {
     "op1_near_duplicates": op1_near_duplicates,
+    "op2_source_mix": op2_source_mix,
+    "op3_token_output": op3_token_output,
+    "op8_licences": op8_licences,
+    "op10_personal_data": op10_personal_data,
 }
 
 ORACLES: dict[str, str] = {}
