@@ -6,12 +6,14 @@ from levelgraph.llm.licences import op8_licences
 from levelgraph.llm.mixing import op2_source_mix
 from levelgraph.llm.near_duplicates import op1_near_duplicates
 from levelgraph.llm.pii import op10_personal_data
+from levelgraph.llm.quality_rules import op6_quality_rules
 from levelgraph.llm.token_output import op3_token_output
 
 QUERIES = {
     "op1_near_duplicates": op1_near_duplicates,
     "op2_source_mix": op2_source_mix,
     "op3_token_output": op3_token_output,
+    "op6_quality_rules": op6_quality_rules,
     "op8_licences": op8_licences,
     "op10_personal_data": op10_personal_data,
 }
