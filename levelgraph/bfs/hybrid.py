@@ -133,6 +133,7 @@ def bfs(
     """
     spark = graph.spark
     degrees, lists = graph.degrees, lists_in_order(graph, order)
+    two_pass = two_pass and order == "deg_desc"  # a pass over top neighbours needs lists that start with the best one
     total = degrees.agg(F.count("*").alias("n"), F.coalesce(F.sum("deg"), F.lit(0)).alias("m"), F.coalesce(F.max("v"), F.lit(0)).alias("top")).first()
     own = degrees.where(F.col("v") == source).first()
     workers = workers or spark.sparkContext.defaultParallelism

@@ -23,7 +23,7 @@ def bandwidth(edges: DataFrame) -> DataFrame:
 
 def gap_stats(edges: DataFrame) -> DataFrame:
     gap = edges.select((F.col("v") - F.col("u")).alias("g"))
-    return gap.agg(F.round(F.avg("g"), 6).alias("mean_gap"), F.expr("percentile_disc(0.5) within group (order by g)").alias("p50"), F.expr("percentile_disc(0.95) within group (order by g)").alias("p95"))
+    return gap.agg(F.round(F.avg("g"), 6).alias("mean_gap"), F.expr("cast(percentile_disc(0.5) within group (order by g) as long)").alias("p50"), F.expr("cast(percentile_disc(0.95) within group (order by g) as long)").alias("p95"))
 
 
 def spy_grid(edges: DataFrame, n_labels: int, bins: int = 16) -> DataFrame:
