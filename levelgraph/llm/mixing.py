@@ -55,9 +55,68 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, share:
     return s.select("source", "source_size", F.when(F.col("at").isNull() | (F.col("at") >= F.col("ratio")), F.col("cap")).otherwise(F.col("at") * F.col("weight")).alias("target"))
 
 
-def uniform(key: Column, seed: int) -> Column:
-    """A number in (0, 1) that depends on the key and the seed alone."""
-    return (F.xxhash64(F.lit(seed), key).bitwiseAND(F.lit((1 << 52) - 1)) + F.lit(0.5)) / F.lit(float(1 << 52))
+def uniform(seed: int, *keys: Column | str) -> Column:
+    """A number in (0, 1) that depends on the seed and the keys alone: 52 bits of an md5, the same in any engine."""
+    named = F.concat_ws(":", F.lit(str(seed)), *[F.col(k).cast("string") if isinstance(k, str) else k.cast("string") for k in keys])
+    return (F.conv(F.substring(F.md5(named), 1, 13), 16, 10).cast("long") + F.lit(0.5)) / F.lit(float(1 << 52))
+
+
+def _key() -> Column:
+    return F.struct(F.col("source").isNull().alias("null"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("name"))
+
+
+def _turn(seed: int) -> Column:
+    """Place of a row in its source's order: its random odds over its inclusion odds, as a number in (0, 1).
+
+    Ties go by id and size; equal where the chance is one half to the uniform number itself."""
+    u = uniform(seed, "_id", "_size")
+    chance = F.least(F.greatest(F.col("due") * F.col("_tilt") / F.col("tilted"), F.lit(1e-9)), F.lit(1 - 1e-9))
+    odds = (u / (1 - u)) / (chance / (1 - chance))
+    return F.when(F.col("tilted") > 0, odds / (1 + odds)).otherwise(F.lit(0.5))
+
+
+def _sized(docs: DataFrame, size: Column | None, importance: Column | None) -> DataFrame:
+    tilt = F.lit(1.0) if importance is None else importance.cast("double")
+    number = word_count(F.col("text")) if size is None else size.cast("long")
+    return docs.withColumns({"_id": F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))), "_size": number, "_tilt": tilt, "_key": _key()})
+
+
+def draw_plan(rows: DataFrame, weights: tuple[int, ...], share: float, max_copies: int, seed: int, cells: int) -> DataFrame:
+    """One row per source: target, certain copies, and the last place that is drawn.
+
+    Of ``rows`` (``_id, _size, _tilt, _key``) only sums by source and rank cell are shuffled, and
+    the rows of the one cell per source in which the words still due run out."""
+    sums = rows.groupBy("_key").agg(F.sum("_size").alias("source_size"), F.sum(F.col("_size") * F.col("_tilt")).alias("tilted"))
+    named = sums.select(F.when(~F.col("_key.null"), F.col("_key.name")).alias("source"), "source_size")
+    plan = source_targets(named, weights, share, max_copies).withColumn("_key", _key()).drop("source")
+    plan = plan.join(sums.drop("source_size"), "_key")
+    whole = F.floor(F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0)))
+    plan = plan.withColumn("whole", F.least(whole, F.lit(max_copies)).cast("long"))
+    plan = materialize(plan.withColumn("due", F.col("target") - F.col("whole") * F.col("source_size")), "mix_plan")
+
+    ranked = rows.join(plan.select("_key", "due", "tilted"), "_key").withColumn("turn", _turn(seed))
+    ranked = ranked.withColumn("cell", F.floor(F.col("turn") * cells).cast("int"))
+    cell = ranked.groupBy("_key", "cell").agg(F.sum("_size").alias("words"), F.first("due").alias("due"))
+    run = Window.partitionBy("_key").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
+    cell = cell.withColumn("before", F.coalesce(F.sum("words").over(run), F.lit(0)))
+    # the cell in which the words due run out; sources whose words all fit have none
+    last = cell.where((F.col("before") <= F.col("due")) & (F.col("before") + F.col("words") > F.col("due"))).groupBy("_key").agg(F.max(F.struct("cell", "before")).alias("c"))
+    last = materialize(last.select("_key", "c.cell", "c.before"), "mix_cells")
+    inner = Window.partitionBy("_key").orderBy("turn", "_id", "_size").rowsBetween(Window.unboundedPreceding, -1)
+    split = ranked.join(last, ["_key", "cell"]).withColumn("ahead", F.col("before") + F.coalesce(F.sum("_size").over(inner), F.lit(0)))
+    cut = split.where(F.col("ahead") + F.col("_size") / 2 <= F.col("due")).groupBy("_key").agg(F.max(F.struct("turn", "_id", "_size")).alias("cut"))
+    start = F.struct((F.col("cell") / cells).alias("turn"), F.lit(-(1 << 63)).cast("long").alias("_id"), F.lit(-1).cast("long").alias("_size"))
+    cuts = last.join(cut, "_key", "left").select("_key", F.coalesce("cut", start).alias("cut"))
+    end = F.struct(F.lit(2.0).alias("turn"), F.lit(0).cast("long").alias("_id"), F.lit(0).cast("long").alias("_size"))
+    none = F.struct(F.lit(-1.0).alias("turn"), F.lit(0).cast("long").alias("_id"), F.lit(0).cast("long").alias("_size"))
+    out = plan.join(cuts, "_key", "left").withColumn("cut", F.when(F.col("due") <= 0, none).otherwise(F.coalesce("cut", end)))
+    return materialize(out, "mix_draw")
+
+
+def _copies(rows: DataFrame, plan: DataFrame, max_copies: int, seed: int) -> DataFrame:
+    out = rows.join(plan, "_key").withColumn("_turn", _turn(seed))
+    drawn = F.struct(F.col("_turn").alias("turn"), "_id", "_size") <= F.col("cut")
+    return out.withColumn("_copies", F.least(F.col("whole") + drawn.cast("long"), F.lit(max_copies)))
 
 
 def mix(
@@ -78,53 +137,27 @@ def mix(
     null ids count as one id.  Rows that repeat an id and a size get the same draw, and each
     counts.  An empty table gives an empty result.
     """
-    key = F.struct(F.col("source").isNull().alias("null"), F.coalesce("source", F.lit("")).alias("name"))
-    tilt = F.lit(1.0) if importance is None else importance.cast("double")
-    rows = docs.select(
-        F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"),
-        (word_count(F.col("text")) if size is None else size.cast("long")).alias("size"), tilt.alias("tilt"),
-    ).withColumn("key", key)
+    rows = _sized(docs, size, importance).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), "_id", "_size", "_tilt", "_key")
     rows = materialize(rows, "mix_sizes")
-    sums = rows.groupBy("key").agg(F.sum("size").alias("source_size"), F.sum(F.col("size") * F.col("tilt")).alias("tilted"))
-    named = sums.select(F.when(~F.col("key.null"), F.col("key.name")).alias("source"), "source_size")
-    plan = source_targets(named, weights, share, max_copies).withColumn("key", key).drop("source")
-    plan = plan.join(sums.drop("source_size"), "key")
-    whole = F.floor(F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0)))
-    plan = plan.withColumn("whole", F.least(whole, F.lit(max_copies)).cast("long"))
-    plan = plan.withColumn("due", F.col("target") - F.col("whole") * F.col("source_size"))
-    plan = materialize(plan, "mix_plan")
+    plan = draw_plan(rows, weights, share, max_copies, seed, cells)
+    out = _copies(rows, plan, max_copies, seed)
+    return out.select("doc_id", "source", F.col("_size").alias("size"), "source_size", "target", F.col("_copies").alias("copies"), (F.col("_copies") * F.col("_size")).alias("taken"))
 
-    u = uniform(F.struct("doc_id", "size"), seed)
-    chance = F.least(F.greatest(F.col("due") * F.col("tilt") / F.col("tilted"), F.lit(1e-9)), F.lit(1 - 1e-9))
-    odds = (u / (1 - u)) / (chance / (1 - chance))
-    # a monotone picture of the rank in (0, 1): equal to u itself where the chance is one half
-    ranked = rows.join(plan, "key").withColumn("rank", F.when(F.col("tilted") > 0, odds / (1 + odds)).otherwise(F.lit(0.5)))
-    ranked = ranked.withColumn("cell", F.floor(F.col("rank") * cells).cast("int"))
-    cell = ranked.groupBy("key", "cell").agg(F.sum("size").alias("words"), F.first("due").alias("due"))
-    run = Window.partitionBy("key").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
-    cell = cell.withColumn("before", F.coalesce(F.sum("words").over(run), F.lit(0)))
-    cell = cell.select(
-        "key", "cell", "before",
-        F.when(F.col("before") + F.col("words") <= F.col("due"), 1).when(F.col("before") < F.col("due"), 0).otherwise(-1).alias("side"),
-    )
-    ranked = ranked.join(cell, ["key", "cell"])
-    sure = ranked.where("side <> 0").withColumn("drawn", (F.col("side") == 1).cast("long"))
-    inner = Window.partitionBy("key", "cell").orderBy("rank", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
-    split = ranked.where("side = 0").withColumn("ahead", F.col("before") + F.coalesce(F.sum("size").over(inner), F.lit(0)))
-    split = split.withColumn("drawn", (F.col("ahead") + F.col("size") / 2 <= F.col("due")).cast("long")).drop("ahead")
-    out = sure.union(split).withColumn("copies", F.least(F.col("whole") + F.col("drawn"), F.lit(max_copies)))
-    return out.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
 
+def mixed_documents(
+    docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, max_copies: int = MAX_COPIES, importance: Column | None = None, seed: int = SEED, cells: int = CELLS
+) -> DataFrame:
+    """The mix itself: every row of ``docs`` as often as it is drawn, with its own columns.
 
-def mixed_documents(docs: DataFrame, **options) -> DataFrame:
-    """The mix itself: every row of ``docs`` as often as it is drawn, with its own columns."""
-    drawn = mix(docs, **options).groupBy(F.col("doc_id").alias("_id"), F.col("source").alias("_source"), F.col("size").alias("_size")).agg(F.max("copies").cast("int").alias("_copies")).where("_copies > 0")
-    size = word_count(F.col("text"))
-    same = docs["doc_id"].cast("long").eqNullSafe(F.col("_id")) & docs["source"].cast("string").eqNullSafe(F.col("_source")) & (size == F.col("_size"))
-    out = docs.join(drawn, same)
-    return out.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*[docs[c] for c in docs.columns])
+    The draw is decided from one small row per source, so texts stay where they are read."""
+    body = F.struct(*[F.col(c) for c in docs.columns]).alias("_row")
+    sized = _sized(docs, None, importance)
+    rows = materialize(sized.select("_id", "_size", "_tilt", "_key"), "mix_sizes")
+    plan = draw_plan(rows, weights, share, max_copies, seed, cells)
+    drawn = _copies(_sized(docs.select("*", body), None, importance).select("_row", "_id", "_size", "_tilt", "_key"), plan, max_copies, seed).where("_copies > 0")
+    return drawn.select("_row", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int"))).alias("_copy")).select("_row.*")
 
 
 def op2_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "source")
-    return mix(docs).select("doc_id", "size", "source_size", "target", "taken", "copies")
+    return mix(docs).select("doc_id", "size", "source_size", "target", "taken")

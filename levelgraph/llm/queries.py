@@ -7,6 +7,7 @@ from levelgraph.llm.licences import op8_licences
 from levelgraph.llm.line_quality import op7_line_quality
 from levelgraph.llm.mixing import op2_source_mix
 from levelgraph.llm.near_duplicates import op1_near_duplicates
+from levelgraph.llm.oracles import ORACLES
 from levelgraph.llm.pii import op10_personal_data
 from levelgraph.llm.quality_rules import op6_quality_rules
 from levelgraph.llm.token_counts import op4_token_counts
@@ -26,4 +27,4 @@ QUERIES = {
     "op10_personal_data": op10_personal_data,
 }
 
-ORACLES: dict[str, str] = {}
+__all__ = ["ORACLES", "QUERIES"]
