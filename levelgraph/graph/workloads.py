@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -82,9 +84,46 @@ def page_anchor(spark: SparkSession, sf: str) -> Graph:
     return Graph(raw, _ids((_table(spark, sf, "pages"), "2 * page_id"), (paths, "2 * at + 1")), "page_anchor")
 
 
+def vector_sim(spark: SparkSession, sf: str, above: float = 0.45, block: int = 1024) -> Graph:
+    """Pairs of vectors with a cosine above the bound: products of blocks of vectors, one pair of blocks a group.
+
+    Only matching pairs leave a group; a group holds two blocks whatever the size of the table."""
+    vectors = _table(spark, sf, "embeddings").select(F.col("vec_id").cast("long").alias("vec_id"), "embedding")
+    blocks = max(1, -(-vectors.count() // block))
+    b = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")
+    other = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    dealt = vectors.withColumn("b", b).withColumn("o", other).select("vec_id", "embedding", F.col("b"), F.least("b", "o").alias("lo"), F.greatest("b", "o").alias("hi"))
+
+    def pairs(pdf: pd.DataFrame) -> pd.DataFrame:
+        x = np.stack(pdf["embedding"].to_numpy()).astype(np.float64)
+        x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-30)
+        ids, at = pdf["vec_id"].to_numpy(), pdf["b"].to_numpy()
+        lo, hi = int(pdf["lo"].iloc[0]), int(pdf["hi"].iloc[0])
+        left, right = np.flatnonzero(at == lo), np.flatnonzero(at == hi)
+        i, j = np.nonzero(x[left] @ x[right].T > above)
+        a, c = ids[left[i]], ids[right[j]]
+        keep = a < c if lo == hi else a != c
+        return pd.DataFrame({"src": np.minimum(a, c)[keep], "dst": np.maximum(a, c)[keep]})
+
+    return Graph(dealt.groupBy("lo", "hi").applyInPandas(pairs, "src long, dst long"), _ids((vectors, "vec_id")), "vector_sim")
+
+
+def bench_overlap(spark: SparkSession, sf: str, pass_bytes: int = 32_000_000) -> Graph:
+    """Documents and the benchmark items whose text they contain; items go to the executors in bounded passes."""
+    docs = _table(spark, sf, "documents").select("doc_id", "text")
+    items = _table(spark, sf, "benchmark").select("item_id", F.col("text").alias("item"))
+    passes = max(1, -(-(items.agg(F.sum(F.octet_length("item"))).first()[0] or 0) // pass_bytes))
+    raw = None
+    for k in range(passes):
+        part = F.broadcast(items.where(F.pmod(F.xxhash64("item_id"), F.lit(passes)) == k))
+        hits = edges_from(docs.join(part, F.col("text").contains(F.col("item"))), "2 * doc_id", "2 * item_id + 1")
+        raw = hits if raw is None else raw.union(hits)
+    return Graph(raw, _ids((docs, "2 * doc_id"), (items, "2 * item_id + 1")), "bench_overlap")
+
+
 GRAPHS: dict[str, Callable[[SparkSession, str], Graph]] = {
     "purchase": purchase, "returned_purchase": returned_purchase, "supply": supply, "customer_orders": customer_orders, "bulk_returns": bulk_returns,
-    "user_flow": user_flow, "geo_tree": geo_tree, "turn_chain": turn_chain, "doc_copies": doc_copies, "page_anchor": page_anchor,
+    "user_flow": user_flow, "geo_tree": geo_tree, "turn_chain": turn_chain, "doc_copies": doc_copies, "page_anchor": page_anchor, "vector_sim": vector_sim, "bench_overlap": bench_overlap,
     "kron8": lambda spark, sf: kronecker(spark, 8), "kron10": lambda spark, sf: kronecker(spark, 10),
     "kron_orders": lambda spark, sf: Graph(kronecker_from(_table(spark, sf, "orders"), "o_orderkey", 10).select("src", "dst"), spark.range(1024).withColumnRenamed("id", "v"), "kron_orders"),
 }

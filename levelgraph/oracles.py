@@ -14,7 +14,11 @@ RAW = {
     "doc_copies": "select a.doc_id as src, b.doc_id as dst from documents a join documents b on a.text = b.text and a.doc_id < b.doc_id",
     "page_anchor": """select 2 * page_id as src, 2 * rk + 1 as dst from (select page_id, unnest(regexp_extract_all(html, 'href="(/[^"]*)"', 1)) as path from pages) join (select path, row_number() over (order by encode(path)) - 1 as rk from (select distinct unnest(regexp_extract_all(html, 'href="(/[^"]*)"', 1)) as path from pages)) using (path)""",
 }
+RAW["vector_sim"] = "select a.vec_id as src, b.vec_id as dst from embeddings a join embeddings b on a.vec_id < b.vec_id where list_cosine_similarity(a.embedding::double[], b.embedding::double[]) > 0.45"
+RAW["bench_overlap"] = "select 2 * doc_id as src, 2 * item_id + 1 as dst from documents d join benchmark b on contains(d.text, b.text)"
 VERTICES = {
+    "vector_sim": "select vec_id as v from embeddings",
+    "bench_overlap": "select 2 * doc_id as v from documents union select 2 * item_id + 1 from benchmark",
     "purchase": "select 2 * c_custkey as v from customer union select 2 * p_partkey + 1 from part",
     "returned_purchase": "select 2 * c_custkey as v from customer union select 2 * p_partkey + 1 from part",
     "supply": "select 2 * s_suppkey as v from supplier union select 2 * l_partkey + 1 from lineitem",

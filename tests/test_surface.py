@@ -1,4 +1,5 @@
 import duckdb
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -31,7 +32,9 @@ def test_queries_match_their_oracles(spark, tiny, name):
     want = con.sql(entry.oracle_sql()[name]).df()
     got = entry.queries()[name](spark, tiny).toPandas()
     assert sorted(got.columns) == sorted(want.columns)
-    plain = lambda df: sorted(str([None if x != x else (round(float(x), 6) if not isinstance(x, str) and x is not None else x) for x in r]) for r in df[sorted(df.columns)].itertuples(index=False))
+    def plain(df):
+        return sorted(str([None if pd.isna(x) else x if isinstance(x, str) else round(float(x), 6) for x in r]) for r in df[sorted(df.columns)].itertuples(index=False))
+
     assert plain(got) == plain(want)
 
 
