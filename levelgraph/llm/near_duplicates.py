@@ -1,24 +1,33 @@
 """MinHash near-duplicate groups by a signature-coordinate inverted join.
 
-Every distinct shingle set gets a signature of ``coordinates`` minimum hashes and is posted
-under (coordinate, value).  Postings of neighbouring coordinates are merged before any pair is
-formed (prefix merging: a posting key names two coordinates and both values), so a value that
-many unrelated texts share seldom meets in one list.  Collisions of the merged postings are
-counted per pair; pairs below ``min_collisions`` are skipped, the others are confirmed on
-their full shingle sets.
+Every distinct shingle set gets a signature of ``BANDS * MERGED`` minimum hashes and is posted
+under (coordinate, value).  Postings of ``MERGED`` neighbouring coordinates are merged before
+any pair is formed (prefix merging: a posting key names the coordinates and all their values), so
+a value that many unrelated texts share seldom meets in one list.  Collisions over the whole
+signature are then counted, eight coordinates to a word, inside the join condition: a pair that
+cannot reach the threshold by size or has fewer equal coordinates than :func:`least_equal` asks for is
+skipped.  The others are confirmed on their full shingle sets.
+
+Texts that still share a list with another component also get a finer signature, so that pairs
+far below the threshold, of which large groups of heavily edited copies have many, are told from
+close ones before their sets are brought together.
 
 Two passes keep hot lists linear.  The first links each text to the head (least id) of each of
 its lists.  The second looks only at lists that still hold several components and pairs texts
 of different components there; a list of thousands of copies of one text is by then a single
 component and forms no pair.  No candidate is capped or dropped.
 
-The probability that a pair at exactly the threshold similarity 0.75 shares fewer than 2 of the
-24 merged postings is below 1e-7; it falls steeply above it.
+Texts never move between machines: what has to be looked at again is named by a bit filter of
+bounded size, and each task expands the sets of its own texts that pass it.
+
+A pair at exactly the threshold similarity 0.75 meets in no list with a probability of 6e-7, and
+has too few of 78 equal coordinates with one of about 2e-6; both fall
+steeply above it.  The finer signature misses it with one of 3e-7.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -26,16 +35,22 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from levelgraph.llm import text as tx
+from levelgraph.llm.bit_filter import BitFilter, exclude
 from levelgraph.reorder.components import star_contraction
 from levelgraph.runtime import discard, materialize
 
 SHINGLE_WORDS = 5
 THRESHOLD_PERCENT = 75
-COORDINATES = 48
-MIN_COLLISIONS = 2
+BANDS = 26
+MERGED = 3
+LANES = 8
+FINE = 1024
+# a pair at the threshold falls this many standard deviations short of the expected collisions at most
+DEVIATIONS = 5.0
 SEED = 20240607
 
-SIGNED = "doc_id long, n_shingles long, f1 long, f2 long, keys array<long>"
+SIGNED = "doc_id long, n_shingles long, f1 long, f2 long, keys array<long>, lanes array<long>"
+FINER = "doc_id long, fine array<long>"
 SETS = "doc_id long, shingles array<long>"
 
 
@@ -58,15 +73,17 @@ def shingle_sets(texts: pa.Array, size: int = SHINGLE_WORDS) -> list[np.ndarray]
 
 def _parameters(coordinates: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
     rng = np.random.default_rng(seed)
-    return rng.integers(1, 2**63, coordinates, dtype=np.uint64) * np.uint64(2) + np.uint64(1), rng.integers(0, 2**63, coordinates, dtype=np.uint64)
+    return rng.integers(0, 2**31, coordinates, dtype=np.uint32) * np.uint32(2) + np.uint32(1), rng.integers(0, 2**32, coordinates, dtype=np.uint32)
 
 
 def signature(shingles: np.ndarray, mult: np.ndarray, add: np.ndarray) -> np.ndarray:
-    """Minimum of each coordinate's hash over a non-empty set."""
-    low = np.full(len(mult), np.uint64(2**64 - 1))
+    """Minimum of each coordinate's 32-bit hash over a non-empty set of well-mixed 64-bit hashes."""
+    low = np.full(len(mult), np.uint32(2**32 - 1))
+    short = (shingles >> np.uint64(32)).astype(np.uint32)
     with np.errstate(over="ignore"):
-        for lo in range(0, len(shingles), 4096):
-            part = shingles[lo : lo + 4096, None] * mult[None, :] + add[None, :]
+        for lo in range(0, len(short), 512):
+            part = short[lo : lo + 512, None] * mult[None, :]
+            part += add[None, :]
             np.minimum(low, part.min(axis=0), out=low)
     return low
 
@@ -75,58 +92,122 @@ def _long(column: str) -> F.Column:
     return F.col(column).cast("long")
 
 
-def sign(docs: DataFrame, coordinates: int = COORDINATES, seed: int = SEED, size: int = SHINGLE_WORDS) -> DataFrame:
-    """Set size, set fingerprint and merged posting keys of each document."""
+def _lists(table: np.ndarray) -> pa.Array:
+    n, width = table.shape
+    return pa.ListArray.from_arrays(pa.array(np.arange(0, n * width + 1, width, dtype=np.int32)), pa.array(table.view(np.int64).ravel()))
+
+
+def sign(docs: DataFrame, bands: int = BANDS, merged: int = MERGED, seed: int = SEED, size: int = SHINGLE_WORDS) -> DataFrame:
+    """Set size, set fingerprint, merged posting keys and packed signature of each document."""
+    words = -(-bands * merged // LANES)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        mult, add = _parameters(coordinates, seed)
-        pairs = coordinates // 2
-        salt = tx.mix(np.arange(1, pairs + 1, dtype=np.uint64))
+        mult, add = _parameters(bands * merged, seed)
+        salt = tx.mix(np.arange(1, bands + 1, dtype=np.uint64))
         for batch in tx.slices(batches, "text"):
             sets = shingle_sets(batch.column("text"), size)
             n = np.array([len(s) for s in sets], dtype=np.int64)
             f = np.zeros((len(sets), 2), dtype=np.uint64)
-            keys = np.zeros((len(sets), pairs), dtype=np.uint64)
+            low = np.zeros((len(sets), bands * merged), dtype=np.uint32)
             with np.errstate(over="ignore"):
                 for i, s in enumerate(sets):
                     if len(s):
                         f[i] = s.sum(dtype=np.uint64), np.bitwise_xor.reduce(tx.mix(s))
-                        sig = signature(s, mult, add)
-                        keys[i] = tx.mix(tx.mix(sig[0::2] ^ salt) + sig[1::2])
-            flat = pa.array(keys.view(np.int64).ravel())
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, len(flat) + 1, pairs, dtype=np.int32)), flat)
+                        low[i] = signature(s, mult, add)
+                keys = np.broadcast_to(salt, (len(sets), bands))
+                for k in range(merged):
+                    keys = tx.mix(keys ^ low[:, k::merged].astype(np.uint64))
+                lanes = np.zeros((len(sets), words * LANES), dtype=np.uint8)
+                lanes[:, : bands * merged] = (low * np.uint32(0x9E3779B1)) >> np.uint32(24)
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), pa.array(n), pa.array(f[:, 0].copy().view(np.int64)), pa.array(f[:, 1].copy().view(np.int64)), lists],
-                names=["doc_id", "n_shingles", "f1", "f2", "keys"],
+                [batch.column("doc_id"), pa.array(n), pa.array(f[:, 0].copy().view(np.int64)), pa.array(f[:, 1].copy().view(np.int64)), _lists(np.ascontiguousarray(keys)), _lists(lanes.view(np.uint64))],
+                names=["doc_id", "n_shingles", "f1", "f2", "keys", "lanes"],
             )
 
     return docs.select(_long("doc_id").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, SIGNED)
 
 
-def expand_sets(docs: DataFrame, size: int = SHINGLE_WORDS) -> DataFrame:
-    """Full shingle sets of documents."""
+def least_equal(coordinates: int, percent: int, values: int = 256) -> int:
+    """Equal coordinates, of hashes with so many values, below which a pair is taken to miss the threshold."""
+    p = percent / 100 + (1 - percent / 100) / values
+    return max(1, int(coordinates * p - DEVIATIONS * (coordinates * p * (1 - p)) ** 0.5))
+
+
+def _likely(a: str, b: str, percent: int, bands: int, merged: int, least: int) -> F.Column:
+    """Whether the sizes allow the similarity and enough coordinates of two signatures are equal."""
+    words = -(-bands * merged // LANES)
+    fits = F.expr(f"100 * least({a}.n, {b}.n) >= {percent} * greatest({a}.n, {b}.n)")
+    unequal = F.lit(0)
+    for k in range(words):
+        x = F.col(f"{a}.lanes")[k].bitwiseXOR(F.col(f"{b}.lanes")[k])
+        for shift in (4, 2, 1):
+            x = x.bitwiseOR(F.shiftrightunsigned(x, shift))
+        unequal = unequal + F.bit_count(x.bitwiseAND(F.lit(0x0101010101010101)))
+    return fits & (unequal <= bands * merged - least)
+
+
+def _finely_equal(a: str, b: str) -> F.Column:
+    """How many coordinates of two finer signatures are equal."""
+
+    def unequal(x: F.Column, y: F.Column) -> F.Column:
+        z = x.bitwiseXOR(y)
+        z = z.bitwiseOR(F.shiftrightunsigned(z, 2))
+        z = z.bitwiseOR(F.shiftrightunsigned(z, 1))
+        return F.bit_count(z.bitwiseAND(F.lit(0x1111111111111111)))
+
+    return F.lit(FINE) - F.aggregate(F.zip_with(F.col(a), F.col(b), unequal), F.lit(0), lambda t, x: t + x)
+
+
+def _expand(docs: DataFrame, ids: DataFrame, build: Callable[[list[np.ndarray]], pa.Array], size: int, schema: str) -> DataFrame:
+    """``doc_id`` and what ``build`` makes of the shingle sets of the texts that ``ids`` names (perhaps of a few more)."""
+    named = BitFilter(ids, "doc_id")
+    names = [x.split()[0] for x in schema.split(", ")]
+    target = pa.schema([(names[0], pa.int64()), (names[1], pa.list_(pa.int64()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in tx.slices(batches, "text", 1_000_000):
-            sets = shingle_sets(batch.column("text"), size)
-            flat = np.concatenate([*sets, np.empty(0, np.uint64)]).view(np.int64)
-            cuts = np.cumsum([0, *map(len, sets)]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), pa.ListArray.from_arrays(pa.array(cuts), pa.array(flat))], names=["doc_id", "shingles"]
-            )
+        for batch in batches:
+            batch = batch.filter(pa.array(named.holds(batch.column("slot").to_numpy())))
+            for part in tx.slices([batch], "text", 1_000_000):
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), build(shingle_sets(part.column("text"), size))], schema=target)
+
+    rows = docs.select(_long("doc_id").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null")
+    return rows.withColumn("slot", named.slot("doc_id")).mapInArrow(run, schema)
+
+
+def expand_sets(docs: DataFrame, ids: DataFrame, size: int = SHINGLE_WORDS) -> DataFrame:
+    """Full shingle sets of the named documents."""
+
+    def build(sets: list[np.ndarray]) -> pa.Array:
+        flat = np.concatenate([*sets, np.empty(0, np.uint64)]).view(np.int64)
+        return pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, sets)]).astype(np.int32)), pa.array(flat))
 
-    return docs.select(_long("doc_id").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, SETS)
+    return _expand(docs, ids, build, size, SETS)
+
+
+def sign_finely(docs: DataFrame, ids: DataFrame, seed: int = SEED, size: int = SHINGLE_WORDS) -> DataFrame:
+    """Signature of ``FINE`` coordinates of the named documents, four bits of each, sixteen to a word."""
+
+    def build(sets: list[np.ndarray]) -> pa.Array:
+        mult, add = _parameters(FINE, seed + 1)
+        nibbles = np.zeros((len(sets), FINE), dtype=np.uint8)
+        with np.errstate(over="ignore"):
+            for i, s in enumerate(sets):
+                if len(s):
+                    nibbles[i] = (signature(s, mult, add) * np.uint32(0x9E3779B1)) >> np.uint32(28)
+        packed = nibbles[:, 0::2] | (nibbles[:, 1::2] << np.uint8(4))
+        return _lists(np.ascontiguousarray(packed).view(np.uint64))
+
+    return _expand(docs, ids, build, size, FINER)
 
 
 def _confirm(pairs: DataFrame, docs: DataFrame, percent: int, size: int) -> DataFrame:
     """Pairs ``(a, b)`` whose full sets reach the similarity ``percent``/100.
 
-    Only texts that some pair names are read again and expanded.
+    Only texts that some pair names are expanded again, each where it is read.
     """
     pairs = materialize(pairs, "pairs")
     named = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
-    rows = docs.select(_long("doc_id").alias("doc_id"), "text").join(named, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    sets = materialize(expand_sets(rows, size), "sets")
+    sets = materialize(expand_sets(docs, named, size), "sets")
     left = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("sa"))
     right = sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("sb"))
     both = pairs.join(left, "a").join(right, "b")
@@ -141,8 +222,8 @@ def _confirm(pairs: DataFrame, docs: DataFrame, percent: int, size: int) -> Data
 def near_duplicate_groups(
     docs: DataFrame,
     percent: int = THRESHOLD_PERCENT,
-    coordinates: int = COORDINATES,
-    min_collisions: int = MIN_COLLISIONS,
+    bands: int = BANDS,
+    merged: int = MERGED,
     size: int = SHINGLE_WORDS,
     seed: int = SEED,
 ) -> DataFrame:
@@ -154,46 +235,57 @@ def near_duplicate_groups(
     they are kept.  Rows that repeat an id count as one document.  Other columns are ignored.
     An empty table gives an empty result.
     """
-    signed = materialize(sign(docs, coordinates, seed, size), "signed")
+    signed = materialize(sign(docs, bands, merged, seed, size), "signed")
     sets = signed.where("n_shingles > 0 and doc_id is not null")
     same = ["n_shingles", "f1", "f2"]
-    firsts = materialize(sets.groupBy(*same).agg(F.min("doc_id").alias("rep"), F.min("keys").alias("keys")), "firsts")
-    posts = firsts.select(F.col("rep").alias("doc"), F.explode("keys").alias("key"))
-    heads = posts.groupBy("key").agg(F.min("doc").alias("head"), F.count("*").alias("n")).where("n > 1")
-    shared = materialize(posts.join(heads, "key").select("key", "doc", "head"), "shared")
+    firsts = sets.groupBy(*same).agg(F.min(F.struct("doc_id", "keys", "lanes")).alias("x"))
+    firsts = materialize(firsts.select(*same, F.col("x.doc_id").alias("rep"), "x.keys", "x.lanes"), "firsts")
+    traits = firsts.select(F.col("rep").alias("doc"), F.struct(F.col("n_shingles").alias("n"), "lanes", "keys").alias("t"))
+    posts = firsts.select(F.col("rep").alias("doc"), F.posexplode("keys").alias("band", "key"))
+    heads = posts.groupBy("key").agg(F.min("doc").alias("head"), F.count("*").alias("n")).where("n > 1").drop("n")
+    shared = materialize(posts.join(heads, "key").select("key", "band", "doc", "head"), "shared")
+    likely = _likely("ta", "tb", percent, bands, merged, least_equal(bands * merged, percent))
+
+    def with_traits(pairs: DataFrame, column: str, name: str) -> DataFrame:
+        return pairs.join(traits.select(F.col("doc").alias(column), F.col("t").alias(name)), column)
 
     stars = shared.where("doc <> head").select(F.col("doc").alias("a"), F.col("head").alias("b")).distinct()
+    stars = with_traits(with_traits(stars, "a", "ta"), "b", "tb").where(likely).select("a", "b")
     links = _confirm(stars, docs, percent, size)
     comps = star_contraction(links, "a", "b")
 
     placed = (
         shared.join(comps.withColumnRenamed("v", "doc"), "doc", "left")
-        .select("key", "doc", "head", F.coalesce("comp", "doc").alias("comp"))
+        .select("key", "band", "doc", "head", F.coalesce("comp", "doc").alias("comp"))
     )
     placed = materialize(placed, "placed")
-    mixed = placed.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
-    members = materialize(placed.join(mixed, "key", "left_semi"), "members")
-    a = members.select("key", F.col("doc").alias("a"), F.col("comp").alias("ca"))
-    b = members.select("key", F.col("doc").alias("b"), F.col("comp").alias("cb"), "head")
-    # a pair with the head of the list has been confirmed or refused already
-    pairs = (
-        a.join(b, "key").where("ca < cb and a <> head and b <> head").groupBy("a", "b").agg(F.count("*").alias("n"))
-        .where(F.col("n") >= min_collisions).select("a", "b")
-    )
+    open_lists = placed.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
+    members = materialize(placed.join(open_lists, "key", "left_semi"), "members")
+    fine = sign_finely(docs, members.select(F.col("doc").alias("doc_id")).distinct(), seed, size)
+    fine = materialize(fine.withColumnRenamed("doc_id", "doc"), "fine")
+    members = with_traits(members, "doc", "t").join(fine, "doc")
+    a = members.select("key", "band", F.col("doc").alias("a"), F.col("comp").alias("ca"), F.col("t").alias("ta"), F.col("fine").alias("fa"), "head")
+    b = members.select(F.col("key").alias("kb"), F.col("doc").alias("b"), F.col("comp").alias("cb"), F.col("t").alias("tb"), F.col("fine").alias("fb"))
+    # a pair with the head of its list has been confirmed or refused already; others count in their first common list only
+    new = (F.col("key") == F.col("kb")) & (F.col("ca") < F.col("cb")) & (F.col("a") != F.col("head")) & (F.col("b") != F.col("head"))
+    for k in range(bands - 1):
+        new = new & ((F.col("band") <= k) | (F.col("ta.keys")[k] != F.col("tb.keys")[k]))
+    close = _finely_equal("fa", "fb") >= least_equal(FINE, percent, 16)
+    pairs = a.join(b, new & likely & close).select("a", "b")
     more = _confirm(pairs, docs, percent, size)
     comps = materialize(star_contraction(links.union(more), "a", "b"), "comps")
 
     reps = firsts.select(*same, "rep").join(comps.withColumnRenamed("v", "rep"), "rep", "left")
     reps = reps.select(*same, F.coalesce("comp", "rep").alias("comp"))
     out = (
-        signed.drop("keys").join(reps, same, "left")
+        signed.drop("keys", "lanes").join(reps, same, "left")
         .select(
             "doc_id", "n_shingles",
             F.when(F.col("doc_id").isNotNull(), F.when(F.col("n_shingles") > 0, F.col("comp")).otherwise(F.col("doc_id"))).alias("component_id"),
         )
         .withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
     )
-    for table in (shared, placed, members):
+    for table in (shared, placed, fine):
         discard(table)
     return out
 
@@ -201,8 +293,7 @@ def near_duplicate_groups(
 def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
     """Rows of ``docs`` that stay: one document of each near-duplicate group, all columns kept."""
     groups = near_duplicate_groups(docs, **options)
-    gone = groups.where(~F.col("kept")).select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, docs["doc_id"].cast("long") == F.col("_gone"), "left_anti")
+    return exclude(docs, groups.where(~F.col("kept")).select("doc_id").distinct(), "doc_id")
 
 
 def op1_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
