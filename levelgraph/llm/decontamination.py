@@ -17,6 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from levelgraph.llm import text as tx
+from levelgraph.llm.bit_filter import exclude
 
 SEED_WORDS = 4
 MAX_ITEMS_OF_SEED = 8
@@ -178,8 +179,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, leak_at: float = LEAK_AT,
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
     """Rows of ``docs`` in which no test item leaks; all columns kept, rows without an id stay."""
-    leaked = find_leaks(docs, benchmark, **options).select(F.col("doc_id").alias("_leaked")).distinct()
-    return docs.join(leaked, docs["doc_id"].cast("long") == F.col("_leaked"), "left_anti")
+    return exclude(docs, find_leaks(docs, benchmark, **options).select("doc_id").distinct(), "doc_id")
 
 
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
