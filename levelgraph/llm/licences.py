@@ -35,7 +35,7 @@ TEMPLATES = (
     ("cc-by", "this work is licensed under a creative commons attribution 4 0 international license", "creative commons attribution"),
     ("bsd", "redistribution and use in source and binary forms with or without modification are permitted", "redistribution and use in source and binary forms"),
     ("mpl-2.0", "this source code form is subject to the terms of the mozilla public license v 2 0", "mozilla public license"),
-    ("copyright", "copyright c all rights reserved", "all rights reserved"),
+    ("proprietary", "copyright c all rights reserved", "all rights reserved"),
 )
 # Words too common in any text to be posted.
 COMMON = ("a", "and", "any", "are", "by", "can", "free", "in", "is", "it", "of", "or", "the", "this", "to", "under", "use", "with", "you", "work", "c", "v", "0")
