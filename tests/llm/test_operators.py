@@ -206,8 +206,8 @@ def test_held_out_quality_and_toxicity(spark, tiny):
 
 
 def test_toxicity(spark, empty, docs):
-    names = ["plain", "calm", "tree", "river", "stone", "field"]
-    texts = [(k, " ".join(names[(k * j) % 6] + str(k * j % 50) for j in range(20)) + (" awfulword" if k % 2 else "") + (" the women agree" if k % 4 == 1 else ""), k % 2) for k in range(400)]
+    rng = np.random.default_rng(2)
+    texts = [(k, " ".join(f"w{x}" for x in rng.integers(0, 500, 20)) + (" awfulword" if k % 2 else "") + (" the women" if k % 4 == 1 else ""), k % 2) for k in range(600)]
     d = spark.createDataFrame([(k, t) for k, t, _ in texts], "doc_id long, text string")
     labels = spark.createDataFrame([(k, 1, y) for k, _, y in texts], "doc_id long, quality int, toxic int")
     model = toxicity.fit(d, labels)
