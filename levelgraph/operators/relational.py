@@ -19,7 +19,7 @@ def as_of_join(left: DataFrame, right: DataFrame, by: str, on: str, value: str)
 
 def interval_join(a: DataFrame, b: DataFrame, by: str, on: str, seconds: int) -> DataFrame:
     """Pairs of one key with ``0 < b.on - a.on <= seconds``: an equi-join on time buckets, then the exact test."""
-    t = F.unix_micros(on)
+    t = F.unix_micros(F.col(on).cast("timestamp"))
     width = seconds * 1_000_000
     x = a.select(*[F.col(c).alias(f"a_{c}") for c in a.columns], t.alias("_ta"), F.explode(F.array(F.floor(t / width), F.floor(t / width) + 1)).alias("_bucket"), F.col(by).alias("_key"))
     y = b.select(*[F.col(c).alias(f"b_{c}") for c in b.columns], t.alias("_tb"), F.floor(t / width).alias("_bucket"), F.col(by).alias("_key"))
@@ -57,7 +57,7 @@ OPERATORS = {
     "op_interval_join": (_interval, "select a.user_id, count(*)::bigint as pairs from events a join events b on a.user_id = b.user_id and b.ts > a.ts and b.ts <= a.ts + interval 1 hour group by 1"),
     "op_rollup": (lambda s, d: _lines(s, d).rollup("l_returnflag", "l_linestatus").agg(F.count("*").alias("n")), "select l_returnflag, l_linestatus, count(*)::bigint as n from lineitem group by rollup (l_returnflag, l_linestatus)"),
     "op_cube": (lambda s, d: _lines(s, d).cube("l_returnflag", "l_linestatus").agg(F.max("l_partkey").alias("top_part")), "select l_returnflag, l_linestatus, max(l_partkey) as top_part from lineitem group by cube (l_returnflag, l_linestatus)"),
-    "op_pivot": (lambda s, d: _lines(s, d).groupBy("l_returnflag").pivot("l_linestatus", ["F", "O"]).agg(F.count("*")), "select l_returnflag, nullif(count(*) filter (l_linestatus = 'F'), 0)::bigint as \"F\", nullif(count(*) filter (l_linestatus = 'O'), 0)::bigint as \"O\" from lineitem group by 1"),
+    "op_pivot": (lambda s, d: _lines(s, d).groupBy("l_returnflag").pivot("l_linestatus", ["F", "O"]).agg(F.count("l_orderkey")), "select l_returnflag, nullif(count(*) filter (l_linestatus = 'F'), 0)::bigint as \"F\", nullif(count(*) filter (l_linestatus = 'O'), 0)::bigint as \"O\" from lineitem group by 1"),
     "op_window_frame": (lambda s, d: s.read.parquet(f"{d}/orders.parquet").select("o_custkey", "o_orderkey", F.count("*").over(Window.partitionBy("o_custkey").orderBy("o_orderkey").rowsBetween(-2, 0)).alias("recent")), "select o_custkey, o_orderkey, count(*) over (partition by o_custkey order by o_orderkey rows between 2 preceding and current row)::bigint as recent from orders"),
     "op_top_k_per_group": (lambda s, d: s.read.parquet(f"{d}/part.parquet").withColumn("rn", F.row_number().over(Window.partitionBy("p_brand").orderBy(F.desc("p_retailprice"), "p_partkey"))).where("rn <= 3").select("p_brand", "rn", "p_partkey"), "select p_brand, rn::bigint as rn, p_partkey from (select *, row_number() over (partition by p_brand order by p_retailprice desc, p_partkey) as rn from part) where rn <= 3"),
     "op_semi_anti": (lambda s, d: s.read.parquet(f"{d}/customer.parquet").select("c_custkey").join(s.read.parquet(f"{d}/orders.parquet").select(F.col("o_custkey").alias("c_custkey")), "c_custkey", "left_anti"), "select c_custkey from customer where c_custkey not in (select o_custkey from orders)"),
