@@ -24,6 +24,8 @@ from levelgraph.llm import text as tx
 PREDICT_AT = 0.3
 FOLDS, HELD = 5, 0
 SAMPLE_ROWS = 1500
+# text whose lines are turned into features at once: about a hundred bytes of features a byte of very short lines
+SLICE_BYTES = 400_000
 SCORES = "doc_id long, n_lines long, bad_share double, score double"
 ROWS = "label int, lengths array<int>, features array<float>"
 
@@ -171,7 +173,7 @@ class Model:
     shift: float
 
     def bad_share(self, lines: Lines) -> np.ndarray:
-        unary = with_neighbours(lines.own, lines.first) @ self.weights
+        unary = with_neighbours(lines.own, lines.first) @ self.weights.astype(np.float32)
         bad, _ = marginals(unary.astype(np.float64), self.stay, lines.first)
         doc = np.repeat(np.arange(len(lines.first) - 1), np.diff(lines.first))
         n = len(lines.first) - 1
@@ -204,7 +206,7 @@ def fit(docs: DataFrame, labels: DataFrame, per_class: int = SAMPLE_ROWS, steps:
     """Fit on at most ``per_class`` labelled documents of each class outside the held-out fold."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in tx.slices(batches, "text"):
+        for batch in tx.slices(batches, "text", SLICE_BYTES):
             lines = read_lines(batch.column("text"))
             cuts = lines.first.astype(np.int32)
             bins = lines.own.astype(np.float32)
@@ -249,7 +251,7 @@ def score_quality(docs: DataFrame, model: Model) -> DataFrame:
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in tx.slices(batches, "text"):
+        for batch in tx.slices(batches, "text", SLICE_BYTES):
             lines = read_lines(batch.column("text"))
             share = model.bad_share(lines)
             yield pa.RecordBatch.from_arrays(
@@ -266,7 +268,7 @@ def drop_low_quality(docs: DataFrame, model: Model, at: float = PREDICT_AT) -> D
     columns = docs.schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in tx.slices(batches, "text"):
+        for batch in tx.slices(batches, "text", SLICE_BYTES):
             good = model.score(model.bad_share(read_lines(batch.column("text")))) >= at
             yield batch.filter(pa.array(good))
 

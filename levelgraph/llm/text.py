@@ -163,7 +163,7 @@ def sequence_hash(h: np.ndarray) -> int:
         return int(mix(np.array([acc], dtype=U64))[0])
 
 
-def slices(batches: Iterator[pa.RecordBatch], column: str, max_bytes: int = 2_000_000) -> Iterator[pa.RecordBatch]:
+def slices(batches: Iterator[pa.RecordBatch], column: str, max_bytes: int = 1_000_000) -> Iterator[pa.RecordBatch]:
     """Cut record batches so that a piece holds about ``max_bytes`` of text, or one text."""
     for batch in batches:
         n = batch.num_rows

@@ -24,7 +24,7 @@ from levelgraph.llm.token_file import ShardReader, ShardWriter
 from levelgraph.runtime import materialize, new_path
 
 END_ID = 2
-CACHE_WORDS = 600_000
+CACHE_WORDS = 250_000
 MANIFEST = "shard int, path string, n_docs long, n_ids long"
 TOKENS = "shard int, pos long, doc_id long, n_tokens long, ids_crc32 long"
 
