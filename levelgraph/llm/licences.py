@@ -1,7 +1,7 @@
 """Licence scan with a positional rare-token index, in DataFrame functions only.
 
-The words of known notices form an index: word -> (template, position).  Each file looks up only
-its rarest notice words (highest inverse document frequency, counted over all files), shifts
+The words of known notices form an index: word -> (template, position).  Each file looks up every
+notice word it holds, weighed by inverse document frequency (counted over all files), shifts
 every posting to the offset at which that template would start, and lets the shifts vote.  A
 template whose words agree on one offset is a candidate; it is labelled when its mandatory key
 phrase also occurs in the file.
@@ -39,7 +39,6 @@ TEMPLATES = (
 )
 # Words too common in any text to be posted.
 COMMON = ("a", "and", "any", "are", "by", "can", "free", "in", "is", "it", "of", "or", "the", "this", "to", "under", "use", "with", "you", "work", "c", "v", "0")
-TOP_WORDS = 8
 MIN_SHARE = 0.75
 
 
@@ -86,7 +85,7 @@ def _read(docs: DataFrame, text: str) -> DataFrame:
     )
 
 
-def scan_licences(docs: DataFrame, text: str = "text", top_words: int = TOP_WORDS, min_share: float = MIN_SHARE) -> DataFrame:
+def scan_licences(docs: DataFrame, text: str = "text", min_share: float = MIN_SHARE) -> DataFrame:
     """Licence labels of each row of ``docs``.
 
     Returns ``doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score``.
@@ -103,17 +102,16 @@ def scan_licences(docs: DataFrame, text: str = "text", top_words: int = TOP_WORD
     lists = {w: [(t, p) for v, t, p in posted if v == w] for w in VOCABULARY}
     index = F.create_map(*[x for w in VOCABULARY for x in (F.lit(w), F.array(*(F.struct(F.lit(t).alias("t"), F.lit(p).alias("p")) for t, p in lists[w])))])
 
-    ranked = F.slice(F.transform(F.array_sort(F.transform("present", lambda w: F.struct((-weight[w]).alias("k"), w.alias("w")))), lambda s: s["w"]), 1, top_words)
-    hot = read.where(F.size("present") > 0).withColumn("top", ranked)
-    votes = hot.select("row", "top", "phrases", F.explode(F.filter("hits", lambda h: F.array_contains(F.col("top"), h["w"]))).alias("h"))
-    votes = votes.select("row", "top", "phrases", F.col("h.w").alias("w"), F.col("h.i").alias("i"), F.explode(index[F.col("h.w")]).alias("post"))
-    votes = votes.select("row", "top", "phrases", "w", F.col("post.t").alias("t"), (F.col("i") - F.col("post.p")).alias("offset"))
-    agree = votes.groupBy("row", "t", "offset").agg(F.collect_set("w").alias("agreed"), F.first("top").alias("top"), F.first("phrases").alias("phrases"))
+    hot = read.where(F.size("present") > 0)
+    votes = hot.select("row", "present", "phrases", F.explode("hits").alias("h"))
+    votes = votes.select("row", "present", "phrases", F.col("h.w").alias("w"), F.col("h.i").alias("i"), F.explode(index[F.col("h.w")]).alias("post"))
+    votes = votes.select("row", "present", "phrases", "w", F.col("post.t").alias("t"), (F.col("i") - F.col("post.p")).alias("offset"))
+    agree = votes.groupBy("row", "t", "offset").agg(F.collect_set("w").alias("agreed"), F.first("present").alias("present"), F.first("phrases").alias("phrases"))
     total = lambda words: F.aggregate(words, F.lit(0.0), lambda a, w: a + weight[w])
     bodies = F.array(*(F.array(*map(F.lit, sorted({w for w in _words(b) if w in idf}))) for _, b, _ in TEMPLATES))
     own = F.get(bodies, F.col("t"))
-    # looked up: a file's top words that the template has; a template with more words than were looked up is not punished
-    due = F.greatest(total(F.array_intersect("top", own)), F.lit(1e-9))
+    # looked up: the file's words that the template has
+    due = F.greatest(total(F.array_intersect("present", own)), F.lit(1e-9))
     held = F.array_join(F.array_intersect("agreed", own), " ")
     phrase_at = F.array(*(F.lit(PHRASES.index(p)) for _, _, p in TEMPLATES))
     agree = agree.withColumns({"share": total("agreed") / due, "sure": F.get(F.col("phrases"), F.get(phrase_at, F.col("t"))) & (held != "")})

@@ -232,6 +232,19 @@ def test_licences(spark, empty):
     assert got[6]["labels"] == "" and licences.scan_licences(d).count() == 7 and licences.scan_licences(empty).count() == 0
 
 
+MIT_PERMISSION = licences.TEMPLATES[2][1]
+
+
+def test_licences_of_several_notices_and_long_files(spark):
+    bsd, mpl = (next(t for label, t, _ in licences.TEMPLATES if label == name) for name in ("bsd", "mpl-2.0"))
+    apache, mit, nc = "licensed under the apache license version 2 0", "released under the mit license", "licensed under cc by nc 4 0"
+    filler = " x ".join(licences.VOCABULARY)
+    texts = [(1, f"{MIT_PERMISSION} {apache}"), (2, f"{bsd} {MIT_PERMISSION} {mpl} {nc}"), (3, f"{bsd} {mpl} {mit}"), (4, f"{filler} y {apache} y {filler}"), (5, filler)]
+    got = {i: r["labels"].split(",") for i, r in rows(licences.scan_licences(spark.createDataFrame(texts, "doc_id long, text string"))).items()}
+    assert got[1] == ["apache-2.0", "mit"] and got[2] == ["bsd", "cc-by", "cc-by-nc", "mit", "mpl-2.0"]
+    assert got[3] == ["bsd", "mit", "mpl-2.0"] and got[4] == ["apache-2.0"] and got[5] == [""]
+
+
 def test_personal_data(docs, empty, spark):
     found = {r["doc_id"]: [(s["kind"], s["start"], s["end"]) for s in r["personal_data"]] for r in pii.find_personal_data(docs).collect()}
     t = ROWS[-1][1]
