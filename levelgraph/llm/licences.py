@@ -3,8 +3,9 @@
 The words of known notices form an index: word -> (template, position).  Each file looks up every
 notice word it holds, weighed by inverse document frequency (counted over all files), shifts
 every posting to the offset at which that template would start, and lets the shifts vote.  A
-template whose words agree on one offset is a candidate; it is labelled when its mandatory key
-phrase also occurs in the file.
+template is a candidate when words of most of its weight agree on one offset, whether or not the
+file holds the others; it is labelled when its mandatory key phrase, with the version where the
+label has one, also occurs in the file.  Bare names of a licence are templates of their own.
 """
 
 from __future__ import annotations
@@ -24,18 +25,33 @@ BASE = (("cc by", "cc-by"), ("general public license", "gpl"), ("all rights rese
 
 # Label, words of a common notice, mandatory key phrase.
 TEMPLATES = (
-    ("apache-2.0", "licensed under the apache license version 2 0", "apache license"),
+    ("apache-2.0", "licensed under the apache license version 2 0", "apache license version 2"),
     ("mit", "released under the mit license", "mit license"),
     ("mit", "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files", "permission is hereby granted free of charge"),
-    ("gpl-3.0", "this work is licensed under the gnu general public license version 3", "gnu general public license"),
+    ("gpl-3.0", "this work is licensed under the gnu general public license version 3", "gnu general public license version 3"),
+    ("gpl-3.0", "under the terms of the gnu general public license as published by the free software foundation either version 3 of the license", "published by the free software foundation either version 3"),
+    ("gpl-3.0", "under the terms of the gnu general public license as published by the free software foundation version 3 of the license", "published by the free software foundation version 3"),
     ("gpl", "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license", "gnu general public license"),
     ("lgpl", "licensed under the gnu lesser general public license", "lesser general public license"),
     ("cc-by-nc", "licensed under cc by nc 4 0", "cc by nc"),
     ("cc-by-sa", "licensed under cc by sa 4 0", "cc by sa"),
-    ("cc-by", "this work is licensed under a creative commons attribution 4 0 international license", "creative commons attribution"),
+    ("cc-by", "this work is licensed under a creative commons attribution 4 0 international license", "creative commons attribution 4 0"),
     ("bsd", "redistribution and use in source and binary forms with or without modification are permitted", "redistribution and use in source and binary forms"),
-    ("mpl-2.0", "this source code form is subject to the terms of the mozilla public license v 2 0", "mozilla public license"),
+    ("mpl-2.0", "this source code form is subject to the terms of the mozilla public license v 2 0", "mozilla public license v 2"),
+    ("bsd", "redistribution and use in source and binary forms are permitted", "redistribution and use in source and binary forms"),
     ("proprietary", "copyright c all rights reserved", "all rights reserved"),
+    # bare names: the whole name is both template and key phrase
+    *((label, name, name) for label, names in (
+        ("apache-2.0", ("apache license version 2", "apache license 2", "apache license v2", "apache license v 2")),
+        ("mit", ("mit license",)),
+        ("gpl-3.0", ("gnu general public license version 3", "gnu general public license v3", "gnu general public license v 3", "gnu general public license 3")),
+        ("lgpl", ("lesser general public license",)),
+        ("cc-by-nc", ("cc by nc",)),
+        ("cc-by-sa", ("cc by sa",)),
+        ("cc-by", ("creative commons attribution license", *(f"creative commons attribution {v}" for v in ("1 0", "2 0", "2 5", "3 0", "4 0")))),
+        ("mpl-2.0", ("mozilla public license version 2", "mozilla public license 2", "mozilla public license v2", "mozilla public license v 2")),
+        ("proprietary", ("all rights reserved",)),
+    ) for name in names),
 )
 # Words too common in any text to be posted.
 COMMON = ("a", "and", "any", "are", "by", "can", "free", "in", "is", "it", "of", "or", "the", "this", "to", "under", "use", "with", "you", "work", "c", "v", "0")
@@ -90,7 +106,7 @@ def scan_licences(docs: DataFrame, text: str = "text", min_share: float = MIN_SH
 
     Returns ``doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score``.
     Null and empty texts have no words, no labels and score 0.  Repeated rows are scanned each.
-    The score is the share of a template's looked-up weight that agrees on its offset, 1 for base
+    The score is the share of a template's whole weight that agrees on its offset, 1 for base
     phrases.
     """
     read = materialize(_read(docs, text), "licence_words")
@@ -103,18 +119,15 @@ def scan_licences(docs: DataFrame, text: str = "text", min_share: float = MIN_SH
     index = F.create_map(*[x for w in VOCABULARY for x in (F.lit(w), F.array(*(F.struct(F.lit(t).alias("t"), F.lit(p).alias("p")) for t, p in lists[w])))])
 
     hot = read.where(F.size("present") > 0)
-    votes = hot.select("row", "present", "phrases", F.explode("hits").alias("h"))
-    votes = votes.select("row", "present", "phrases", F.col("h.w").alias("w"), F.col("h.i").alias("i"), F.explode(index[F.col("h.w")]).alias("post"))
-    votes = votes.select("row", "present", "phrases", "w", F.col("post.t").alias("t"), (F.col("i") - F.col("post.p")).alias("offset"))
-    agree = votes.groupBy("row", "t", "offset").agg(F.collect_set("w").alias("agreed"), F.first("present").alias("present"), F.first("phrases").alias("phrases"))
+    votes = hot.select("row", "phrases", F.explode("hits").alias("h"))
+    votes = votes.select("row", "phrases", F.col("h.w").alias("w"), F.col("h.i").alias("i"), F.explode(index[F.col("h.w")]).alias("post"))
+    votes = votes.select("row", "phrases", "w", F.col("post.t").alias("t"), (F.col("i") - F.col("post.p")).alias("offset"))
+    agree = votes.groupBy("row", "t", "offset").agg(F.collect_set("w").alias("agreed"), F.first("phrases").alias("phrases"))
     total = lambda words: F.aggregate(words, F.lit(0.0), lambda a, w: a + weight[w])
-    bodies = F.array(*(F.array(*map(F.lit, sorted({w for w in _words(b) if w in idf}))) for _, b, _ in TEMPLATES))
-    own = F.get(bodies, F.col("t"))
-    # looked up: the file's words that the template has
-    due = F.greatest(total(F.array_intersect("present", own)), F.lit(1e-9))
-    held = F.array_join(F.array_intersect("agreed", own), " ")
+    # all posted words of the template, those that the file lacks too
+    due = F.get(F.array(*(F.lit(math.fsum(idf[w] for w in set(_words(b)) if w in idf)) for _, b, _ in TEMPLATES)), F.col("t"))
     phrase_at = F.array(*(F.lit(PHRASES.index(p)) for _, _, p in TEMPLATES))
-    agree = agree.withColumns({"share": total("agreed") / due, "sure": F.get(F.col("phrases"), F.get(phrase_at, F.col("t"))) & (held != "")})
+    agree = agree.withColumns({"share": total("agreed") / due, "sure": F.get(F.col("phrases"), F.get(phrase_at, F.col("t")))})
     names = F.array(*(F.lit(label) for label, _, _ in TEMPLATES))
     more = agree.where((F.col("share") >= min_share) & F.col("sure")).groupBy("row").agg(
         F.collect_set(F.get(names, F.col("t"))).alias("more"), F.max("share").alias("share")

@@ -245,6 +245,16 @@ def test_licences_of_several_notices_and_long_files(spark):
     assert got[3] == ["bsd", "mit", "mpl-2.0"] and got[4] == ["apache-2.0"] and got[5] == [""]
 
 
+def test_licences_of_other_versions_and_parts_of_notices(spark):
+    gpl = "under the terms of the GNU General Public License as published by the Free Software Foundation; either version {} of the License, or later"
+    texts = [
+        (1, "under the GNU General Public License version 2 only"), (2, "Apache License, Version 1.1"), (3, gpl.format(2)), (4, gpl.format(3)), (5, "GNU General Public License, version 3"),
+        (6, "Apache License, Version 2.0"), (7, "MIT License"), (8, " ".join(MIT_PERMISSION.split()[:9])), (9, "Mozilla Public License, Version 1.1"), (10, "the Creative Commons Attribution-ShareAlike 4.0 International License"),
+    ]
+    got = {i: r["labels"] for i, r in rows(licences.scan_licences(spark.createDataFrame(texts, "doc_id long, text string"))).items()}
+    assert got == {1: "gpl", 2: "", 3: "gpl", 4: "gpl,gpl-3.0", 5: "gpl,gpl-3.0", 6: "apache-2.0", 7: "mit", 8: "", 9: "", 10: ""}
+
+
 def test_personal_data(docs, empty, spark):
     found = {r["doc_id"]: [(s["kind"], s["start"], s["end"]) for s in r["personal_data"]] for r in pii.find_personal_data(docs).collect()}
     t = ROWS[-1][1]
