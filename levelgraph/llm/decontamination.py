@@ -1,9 +1,13 @@
-"""Benchmark decontamination: rare n-gram seeds, then Smith-Waterman alignment.
-
-Every test item gives seeds: its windows of ``SEED_WORDS`` words that few items share.  Training
-texts are scanned once; a text with a seed of an item is aligned with that item around the
-diagonals its seeds lie on, and the local alignment score tells copies, edited or paraphrased
-ones included, from chance.
+"""Benchmark decontamination: word-pair seeds, then Smith-Waterman alignment.
+
+Seeds are pairs of item words that are neighbours or have one word between them, looked for as
+such pairs in the training texts, so one replaced, added or missing word does not break a seed.
+An alignment of score ``leak_at * MATCH * n`` with an item of n words (matches cost nothing, each
+other step loses 1) has at least ``leak_at * n - 1`` matched words followed by the next one over
+at most one such step: two steps or more after all the others would lose too much.  So an item's
+commonest pairs can be left out up to the number that must hit less the number asked for, and a
+stretch of text with too few hits cannot hold a leak.  What passes is aligned with the item, and
+the local alignment score tells copies, edited or paraphrased ones included, from chance.
 """
 
 from __future__ import annotations
@@ -19,13 +23,13 @@ from pyspark.sql import functions as F
 from levelgraph.llm import text as tx
 from levelgraph.llm.bit_filter import exclude
 
-SEED_WORDS = 4
-MAX_ITEMS_OF_SEED = 8
 MATCH, MISMATCH, GAP = 2, -1, -1
 LEAK_AT = 0.5
 MIN_ITEM_WORDS = 4
 # the items that one pass carries to the executors, at most
 PASS_BYTES = 32_000_000
+# seed hits that are sorted at once, unless one text has more
+BLOCK_HITS = 2_000_000
 HITS = "doc_id long, item_id long, score double, matched long, first_word long, last_word long"
 
 _LETTER = np.zeros(256, dtype=bool)
@@ -42,7 +46,8 @@ def _read(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 @dataclass(frozen=True)
 class Index:
-    """Words of the items of one pass, and their seeds sorted by hash."""
+    """Words of the items of one pass, their seeds sorted by hash, and per item the hits asked for
+    and the steps that an alignment can lose."""
 
     item_ids: np.ndarray
     words: np.ndarray
@@ -50,24 +55,44 @@ class Index:
     seeds: np.ndarray
     item: np.ndarray
     place: np.ndarray
+    asked: np.ndarray
+    slack: np.ndarray
+
+
+def _pairs(words: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the pairs of neighbours and of words with one between them, and the first word of each."""
+    near, at = tx.window_hashes(words, first, 2)
+    _, far = tx.window_hashes(words, first, 3)
+    with np.errstate(over="ignore"):
+        over = tx.mix(words[far] * tx._WINDOW_KEYS[0] + words[far + 2] * tx._WINDOW_KEYS[1]) if len(far) else np.empty(0, np.uint64)
+    return np.concatenate([near, over]), np.concatenate([at, far])
 
 
-def build_index(items: pa.Table, seed_words: int = SEED_WORDS, max_items: int = MAX_ITEMS_OF_SEED) -> Index:
-    """Seeds of all items.  A window in more than ``max_items`` items is common, not rare, and is
-    left out as a seed unless its item would keep none; short items are one seed of their own size."""
+def build_index(items: pa.Table, leak_at: float = LEAK_AT) -> Index:
+    """Seeds of all items.  ``must`` places of an item have a hit in every leak; half of that number
+    is asked for, and as many of the item's commonest places as that allows are left out."""
     words, first = _read(items.column("text"))
-    win, at = tx.window_hashes(words, first, seed_words)
-    owner = np.searchsorted(first, at, side="right") - 1
-    owner = owner.astype(np.int64)
-    pairs = np.unique(np.stack([win.view(np.int64), owner]), axis=1) if len(win) else np.zeros((2, 0), np.int64)
-    value, n_items = np.unique(pairs[0], return_counts=True)
-    common = value[n_items > max_items]
-    rare = ~np.isin(win.view(np.int64), common)
-    kept = np.bincount(owner[rare], minlength=len(first) - 1)
-    use = rare | (kept[owner] == 0) if len(win) else np.zeros(0, bool)
+    size = np.diff(first)
+    must = np.maximum(np.ceil(leak_at * size - 1e-9).astype(np.int64) - 1, 1)
+    asked = (must + 1) // 2
+    win, at = _pairs(words, first)
+    owner = (np.searchsorted(first, at, side="right") - 1).astype(np.int64)
+    long = size[owner] >= MIN_ITEM_WORDS
+    win, at, owner = win[long], at[long], owner[long]
+    _, group, posts = np.unique(win, return_inverse=True, return_counts=True)
+    load = np.zeros(len(words), dtype=np.int64)
+    np.add.at(load, at, posts[group])
+    places = np.unique(at)
+    of = (np.searchsorted(first, places, side="right") - 1).astype(np.int64)
+    order = np.lexsort((places, -load[places], of))
+    rank = np.arange(len(order)) - np.searchsorted(of, of[order], side="left")
+    left_out = np.zeros(len(words), dtype=bool)
+    left_out[places[order][rank < (must - asked)[of[order]]]] = True
+    use = ~left_out[at]
     win, owner, place = win[use], owner[use], at[use] - first[owner[use]]
     order = np.argsort(win, kind="stable")
-    return Index(items.column("item_id").to_numpy(), words, first, win[order], owner[order], place[order])
+    slack = np.ceil(np.maximum(1 - leak_at, 0) * MATCH * size).astype(np.int64)
+    return Index(items.column("item_id").to_numpy(), words, first, win[order], owner[order], place[order], asked, slack)
 
 
 def align(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int]:
@@ -94,22 +119,62 @@ def align(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int]:
     return best, lo, hi
 
 
-def _windows(places: np.ndarray, diagonals: np.ndarray, size: int, n: int) -> Iterator[tuple[int, int]]:
-    """Stretches of the text around the seeds' diagonals, overlapping ones joined up to three items long."""
-    slack = max(8, size // 4)
-    lows = np.unique(np.clip(diagonals - slack, 0, n))
-    lo = hi = -1
+def _windows(diagonals: np.ndarray, size: int, slack: int, n: int) -> Iterator[tuple[int, int]]:
+    """Stretches of the text that hold every alignment over the seeds' diagonals, overlapping ones joined up to three items long."""
+    lows = np.unique(diagonals - slack)
+    lo = hi = None
     for x in lows.tolist():
-        end = min(x + size + 2 * slack, n)
-        if hi < 0:
+        end = x + size + 2 * slack
+        if hi is None:
             lo, hi = x, end
         elif x <= hi - size // 2 and end - lo <= 3 * size + 4 * slack:
             hi = end
         else:
-            yield lo, hi
+            yield max(lo, 0), min(hi, n)
             lo, hi = x, end
-    if hi >= 0:
+    if hi is not None:
+        yield max(lo, 0), min(hi, n)
+
+
+def _blocks(n_hits: np.ndarray, first: np.ndarray, at: np.ndarray) -> Iterator[tuple[int, int]]:
+    """Ranges of seeds (sorted by place) of whole texts that have ``BLOCK_HITS`` hits together, or of one text."""
+    ends = np.searchsorted(at, first[1:])
+    total = np.concatenate([[0], np.cumsum(n_hits)])
+    lo = 0
+    while lo < len(at):
+        k = int(np.searchsorted(total[ends], total[lo] + BLOCK_HITS, side="right")) - 1
+        hi = int(ends[k]) if k >= 0 and ends[k] > lo else int(ends[np.searchsorted(ends, lo, side="right")])
         yield lo, hi
+        lo = hi
+
+
+def _candidates(index: Index, words: np.ndarray, first: np.ndarray, mask: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Text, item and diagonal of each hit that has enough others after it in the reach of one alignment."""
+    size = np.diff(index.first)
+    win, at = _pairs(words, first)
+    maybe = mask[(win >> np.uint64(42)).astype(np.int64)]
+    win, at = win[maybe], at[maybe]
+    a, b = np.searchsorted(index.seeds, win, "left"), np.searchsorted(index.seeds, win, "right")
+    hit = b > a
+    order = np.argsort(at[hit], kind="stable")
+    at, a, n = at[hit][order], a[hit][order], (b - a)[hit][order]
+    for lo, hi in _blocks(n, first, at):
+        m = n[lo:hi]
+        where, entry = np.repeat(at[lo:hi], m), np.repeat(a[lo:hi], m) + (np.arange(m.sum()) - np.repeat(np.cumsum(m) - m, m))
+        doc = np.searchsorted(first, where, side="right") - 1
+        key = doc * np.int64(len(size) + 1) + index.item[entry]
+        place, start = where - first[doc], index.place[entry]
+        order = np.lexsort((start, place, key))
+        key, place, start = key[order], place[order], start[order]
+        new = np.ones(len(key), dtype=bool)
+        new[1:] = (key[1:] != key[:-1]) | (place[1:] != place[:-1]) | (start[1:] != start[:-1])
+        key, place, start = key[new], place[new], start[new]
+        doc, item = np.divmod(key, len(size) + 1)
+        last = np.arange(len(key)) + index.asked[item] - 1
+        inside = last < len(key)
+        last = np.where(inside, last, 0)
+        keep = inside & (key[last] == key) & (place[last] - place <= size[item] + index.slack[item])
+        yield doc[keep], item[keep], (place - start)[keep]
 
 
 def scan(docs: DataFrame, index: Index, leak_at: float = LEAK_AT) -> DataFrame:
@@ -120,33 +185,24 @@ def scan(docs: DataFrame, index: Index, leak_at: float = LEAK_AT) -> DataFrame:
         mask[(index.seeds >> np.uint64(42)).astype(np.int64)] = True
         for batch in tx.slices(batches, "text"):
             words, first = _read(batch.column("text"))
-            win, at = tx.window_hashes(words, first, SEED_WORDS)
-            maybe = mask[(win >> np.uint64(42)).astype(np.int64)]
-            win, at = win[maybe], at[maybe]
-            a, b = np.searchsorted(index.seeds, win, "left"), np.searchsorted(index.seeds, win, "right")
-            n = b - a
-            at, entry = np.repeat(at, n), np.repeat(a, n) + (np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n))
-            doc = np.searchsorted(first, at, side="right") - 1
-            item = index.item[entry]
-            place = at - first[doc]
-            diagonal = place - index.place[entry]
-            order = np.lexsort((diagonal, item, doc))
-            doc, item, place, diagonal = doc[order], item[order], place[order], diagonal[order]
-            cuts = np.flatnonzero(np.diff(doc * np.int64(len(size) + 1) + item)) + 1 if len(doc) else np.empty(0, int)
             out = []
-            for lo, hi in zip([0, *cuts.tolist()], [*cuts.tolist(), len(doc)], strict=True):
-                if lo == hi:
-                    continue
-                d, i = int(doc[lo]), int(item[lo])
-                source, target = index.words[index.first[i] : index.first[i + 1]], words[first[d] : first[d + 1]]
-                best = (0.0, 0, 0, 0)
-                for x, y in _windows(place[lo:hi], diagonal[lo:hi], int(size[i]), len(target)):
-                    score, s, e = align(source, target[x:y])
-                    best = max(best, (score / (MATCH * int(size[i])), score, x + s, x + e - 1))
-                    if score == MATCH * int(size[i]):
-                        break
-                if best[0] >= leak_at:
-                    out.append((d, i, *best))
+            for doc, item, diagonal in _candidates(index, words, first, mask):
+                cuts = np.flatnonzero((np.diff(doc) != 0) | (np.diff(item) != 0)) + 1 if len(doc) else np.empty(0, int)
+                for lo, hi in zip([0, *cuts.tolist()], [*cuts.tolist(), len(doc)], strict=True):
+                    if lo == hi:
+                        continue
+                    d, i = int(doc[lo]), int(item[lo])
+                    n, full = int(size[i]), MATCH * int(size[i])
+                    source, target = index.words[index.first[i] : index.first[i + 1]], words[first[d] : first[d + 1]]
+                    best = (0, 0, 0)
+                    for x, y in _windows(diagonal[lo:hi], n, int(index.slack[i]), len(target)):
+                        score, s, e = align(source, target[x:y])
+                        if score > best[0]:
+                            best = (score, x + s, x + e - 1)
+                        if score == full:
+                            break
+                    if best[0] >= leak_at * full:
+                        out.append((d, i, best[0] / full, *best))
             ids = batch.column("doc_id").to_pylist()
             yield pa.RecordBatch.from_arrays(
                 [pa.array([ids[o[0]] for o in out], pa.int64()), pa.array([int(index.item_ids[o[1]]) for o in out], pa.int64()), pa.array([o[2] for o in out], pa.float64()), pa.array([o[3] // MATCH for o in out], pa.int64()), pa.array([o[4] for o in out], pa.int64()), pa.array([o[5] for o in out], pa.int64())],
@@ -171,7 +227,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, leak_at: float = LEAK_AT,
     found = None
     for k in range(passes):
         part = items.where(F.pmod(F.xxhash64("item_id"), F.lit(passes)) == k) if passes > 1 else items
-        index = build_index(part.toArrow().sort_by("item_id"))
+        index = build_index(part.toArrow().sort_by("item_id"), leak_at)
         hits = scan(docs, index, leak_at)
         found = hits if found is None else found.union(hits)
     return found

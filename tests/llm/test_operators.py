@@ -280,3 +280,23 @@ def test_decontamination(spark, empty):
     assert sorted(map(tuple, several)) == sorted(map(tuple, hits))
     assert sorted(r["doc_id"] for r in decontamination.drop_contaminated(d, bench).collect()) == [3, 4, 5]
     assert decontamination.find_leaks(empty, bench).count() == 0 and decontamination.find_leaks(d, bench.limit(0)).count() == 0
+
+
+def test_decontamination_reaches_every_alignment(spark):
+    rng = np.random.default_rng(3)
+    template = [f"t{k}" for k in range(35)]
+    other = lambda word, at=17: " ".join([*template[:at], word, *template[at + 1 :]])
+    bench = [(k, other(f"own{k}")) for k in range(10)] + [(10, " ".join(f"a{k}" for k in range(20))), (11, " ".join(f"b{k % 7}" for k in range(15)))]
+    texts = ["x y " + other("else"), " ".join(template[9:]), " ".join(template[:8]), " ".join("zz" if k % 4 == 3 else f"a{k}" for k in range(20)), " ".join(f"a{k} q{k}" for k in range(20))]
+    for _ in range(120):
+        words = bench[int(rng.integers(12))][1].split()
+        rate = rng.uniform(0.1, 0.7)
+        edited = [x for w in words for x in (([], ["n"], [w, "n"], [w, "n", "m"])[rng.integers(4)] if rng.random() < rate else [w])]
+        texts.append(" ".join([*(["f"] * int(rng.integers(30))), *edited, *words[: int(rng.integers(5))]]))
+    d = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {(r["doc_id"], r["item_id"]): r["score"] for r in decontamination.find_leaks(d, spark.createDataFrame(bench, "item_id long, text string")).collect()}
+    ids = {}
+    code = lambda t: np.array([ids.setdefault(w, len(ids)) for w in t.split()])
+    want = {(k, i): decontamination.align(code(t), code(x))[0] / (2 * len(t.split())) for k, x in enumerate(texts) for i, t in bench}
+    assert got == {k: v for k, v in want.items() if v >= 0.5}
+    assert all((k, i) in got for k in (0, 1) for i in range(10)) and (3, 10) in got and (4, 10) in got
