@@ -30,16 +30,24 @@ class Kind:
 
 
 # Fixed values.  The first four kinds are the base kinds; possessive groups and the anchors before
-# them match the same spans as the plain expressions without backtracking over long runs.
+# them match the same spans as the plain expressions without backtracking over long runs.  Of an
+# IBAN only the head is matched; ``ibans`` finds where it ends.
 KINDS = (
     Kind("email", "@", r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]+)++", True, 0.8, ("mail", "email", "contact", "write")),
     Kind("ip", r"[0-9]\.[0-9]", r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]+", True, 0.6, ("ip", "host", "address", "server")),
     Kind("card", "[0-9]", r"[0-9](?:[\x20-]?[0-9])++", True, 0.9, ("card", "visa", "credit", "payment")),
     Kind("phone", r"\+[0-9]", r"\+[0-9][\x20().0-9-]+[0-9]", True, 0.7, ("call", "phone", "tel", "mobile")),
-    Kind("iban", "[A-Z]{2}[0-9]{2}", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}+(?![A-Za-z0-9])", False, 0.8, ("iban", "bank", "account", "transfer")),
+    Kind("iban", "[A-Z]{2}[0-9]{2}", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?=(?:\x20?[A-Z0-9]){11})", False, 0.8, ("iban", "bank", "account", "transfer")),
     Kind("key", "AKIA", r"(?<![A-Za-z0-9])AKIA[0-9A-Z]{16}(?![A-Za-z0-9])", False, 0.5, ("key", "access", "aws", "secret")),
     Kind("secret", "[0-9a-f]{16}", r"(?<![A-Za-z0-9])[0-9a-f]{16,128}(?![A-Za-z0-9])", False, 0.2, ("token", "password", "secret", "key")),
 )
+# Characters of an IBAN by country.
+IBAN_CHARS = {x[:2]: int(x[2:]) for x in (
+    "AD24 AE23 AL28 AT20 AZ28 BA20 BE16 BG22 BH22 BI27 BR29 BY28 CH21 CR22 CY28 CZ24 DE22 DJ27 DK18 DO28 EE20 EG29 ES24 FI18 FK18 FO18 FR27 GB22 GE22 GI23 GL18 GR27 GT28 HN28 HR21 HU28 "
+    "IE22 IL23 IQ23 IS26 IT27 JO30 KW30 KZ20 LB28 LC32 LI21 LT20 LU20 LV21 LY25 MC27 MD24 ME22 MK19 MN20 MR27 MT31 MU30 NI28 NL18 NO15 OM23 PK24 PL28 PS29 PT25 QA29 RO24 RS22 RU33 "
+    "SA24 SC31 SD18 SE24 SI19 SK24 SM27 SO23 ST25 SV28 TL23 TN24 TR26 UA29 VA22 VG24 XK20 YE30"
+).split()}
+IBAN_RUN = r"^[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}"
 
 
 def proposed(text: Column, kind: Kind) -> Column:
@@ -83,6 +91,25 @@ def mod97(code: Column) -> Column:
     return F.aggregate(F.sequence(F.lit(1), F.length(turned)), F.lit(0), step) == 1
 
 
+def ibans(text: Column, heads: Column) -> Column:
+    """Spans from heads of IBANs to an end that passes the check: the one at the length of the
+    country, else the last one; ends stand before anything but a letter or digit.  Spans that begin
+    inside the one before are left out."""
+    lengths = F.create_map(*[F.lit(x) for item in IBAN_CHARS.items() for x in item])
+
+    def whole(s: Column) -> Column:
+        piece = F.substring(text, (s["start"] + 1).cast("int"), F.lit(68))  # 34 characters, spaces between, the next one
+        run = F.regexp_extract(piece, IBAN_RUN, 0)
+        cut = lambda e: F.substring(run, F.lit(1), e)
+        ends = F.filter(F.sequence(F.lit(15), F.greatest(F.length(run), F.lit(15))), lambda e: F.substring(piece, e, F.lit(2)).rlike("^[A-Z0-9](?![A-Za-z0-9])") & (F.length(F.replace(cut(e), F.lit(" "), F.lit(""))) >= 15) & mod97(cut(e)))
+        usual = F.filter(ends, lambda e: F.length(F.replace(cut(e), F.lit(" "), F.lit(""))) == lengths[F.substring(run, 1, 2)])
+        end = F.coalesce(F.array_max(usual), F.array_max(ends))
+        return F.struct(s["start"].alias("start"), (s["start"] + end).alias("end"), F.substring(run, F.lit(1), end).alias("hit"))
+
+    found = F.filter(F.transform(heads, whole), lambda s: s["end"].isNotNull())
+    return F.aggregate(found, F.array().cast(SPAN), lambda out, s: F.when(s["start"] < F.coalesce(F.array_max(F.transform(out, lambda o: o["end"])), F.lit(0)), out).otherwise(F.concat(out, F.array(s))))
+
+
 def confirmed(kind: Kind, hit: Column) -> Column:
     digits = F.regexp_replace(hit, "[^0-9]", "")
     if kind.name == "ip":
@@ -92,8 +119,6 @@ def confirmed(kind: Kind, hit: Column) -> Column:
         return F.when(F.length(digits).between(14, 19), luhn(digits)).otherwise(False)
     if kind.name == "phone":
         return F.length(digits).between(10, 15)
-    if kind.name == "iban":
-        return mod97(hit)
     return F.lit(True)
 
 
@@ -109,6 +134,8 @@ def scored(text: Column, kind: Kind, spans: Column) -> Column:
         score = F.least(F.lit(1.0), F.lit(kind.prior) + F.when(helped, 0.3).otherwise(0.0))
         return F.struct(s["start"].alias("start"), F.lit(KINDS.index(kind)).alias("rank"), s["end"].alias("end"), F.lit(kind.name).alias("kind"), score.alias("score"))
 
+    if kind.name == "iban":
+        spans = ibans(text, spans)
     return F.transform(F.filter(spans, lambda s: confirmed(kind, s["hit"])), near)
 
 

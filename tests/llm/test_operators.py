@@ -267,6 +267,18 @@ def test_personal_data(docs, empty, spark):
     assert "joe.b@" not in rows(pii.redact(docs))[11]["text"]
 
 
+def test_ibans_before_capitals_numbers_and_stops(spark):
+    plain, spaced, british = "DE89370400440532013000", "DE89 3704 0044 0532 0130 00", "GB82 WEST 1234 5698 7654 32"
+    cases = [
+        (f"IBAN {plain} Please", [plain]), (f"{spaced} Bitte", [spaced]), (f"iban {spaced} 00 EUR", [spaced]), (f"{spaced}.", [spaced]), (f"iban {plain} IBAN", [plain]), (spaced, [spaced]),
+        (f"{spaced} {british} A", [spaced, british]), (f"XY12 {plain} 7", [plain]), (f"\U0001f600 {british}, {plain}\n", [british, plain]), (f"{plain}x", []), ("DE89370400440532013001 Please", []), ("DE89 3704", []), (None, []),
+        ("MT84 MALT 0110 0001 2345 MTLC AST0 01S Z", ["MT84 MALT 0110 0001 2345 MTLC AST0 01S"]), ("XX57 1234 5678 9012 345 Now", ["XX57 1234 5678 9012 345"]),
+    ]
+    d = spark.createDataFrame([(k, t) for k, (t, _) in enumerate(cases)], "doc_id long, text string")
+    got = {r["doc_id"]: [r["text"][s["start"] : s["end"]] for s in r["personal_data"] if s["kind"] == "iban"] for r in pii.find_personal_data(d).collect()}
+    assert got == {k: want for k, (_, want) in enumerate(cases)}
+
+
 def test_decontamination(spark, empty):
     item = "which of these small rivers runs north through the old town before it meets the sea near the harbour wall"
     words = item.split()
