@@ -36,18 +36,37 @@ _LETTER = np.zeros(256, dtype=bool)
 _LETTER[[*range(48, 58), *range(65, 91), *range(97, 123), *range(0x80, 0x100)]] = True
 
 
+def _unspaced(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First bytes of the characters of scripts without blanks (Han, kana, Thai, Lao, Khmer, Burmese), and the bytes after them."""
+    if not (data >= 0xE0).any():
+        return np.empty(0, np.int64), np.empty(0, np.int64)
+    d, follow = data, np.append(data[1:], np.uint8(0))
+    within = lambda x, lo, hi: (x >= lo) & (x <= hi)
+    three = within(d, 0xE3, 0xE9) | (d == 0xE0) & within(follow, 0xB8, 0xBB) | (d == 0xE1) & (within(follow, 0x80, 0x82) | within(follow, 0x9E, 0x9F)) | (d == 0xEF) & within(follow, 0xA4, 0xAB)
+    a, b = np.flatnonzero(three), np.flatnonzero((d == 0xF0) & within(follow, 0xA0, 0xBF))
+    return np.concatenate([a, b]), np.concatenate([a + 3, b + 4])
+
+
 def _read(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of the lower-cased letter runs of each text, and the first run of each."""
+    """Hashes of the lower-cased letter runs of each text, and the first run of each; characters of
+    scripts without blanks are runs of their own."""
     data, offsets = tx.buffers(texts)
     data = tx.LOWER[data]
-    starts, ends, first = tx.limits(_LETTER[data], offsets)
+    inside = _LETTER[data]
+    starts, ends, first = tx.limits(inside, offsets)
+    opens, after = _unspaced(data)
+    if len(opens):
+        cuts = np.concatenate([opens, after[after < len(data)]])
+        cuts = np.setdiff1d(cuts[inside[cuts]], starts)
+        starts, ends = np.sort(np.concatenate([starts, cuts])), np.sort(np.concatenate([ends, cuts]))
+        first = np.searchsorted(starts, offsets)
     return tx.span_hashes(data, starts, ends), first
 
 
 @dataclass(frozen=True)
 class Index:
-    """Words of the items of one pass, their seeds sorted by hash, and per item the hits asked for
-    and the steps that an alignment can lose."""
+    """Words of the items of one pass, their seeds sorted by hash, per item the hits asked for and
+    the steps that an alignment can lose, and the sizes of items that are one seed."""
 
     item_ids: np.ndarray
     words: np.ndarray
@@ -57,6 +76,7 @@ class Index:
     place: np.ndarray
     asked: np.ndarray
     slack: np.ndarray
+    short: tuple[int, ...]
 
 
 def _pairs(words: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -70,7 +90,8 @@ def _pairs(words: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray
 
 def build_index(items: pa.Table, leak_at: float = LEAK_AT) -> Index:
     """Seeds of all items.  ``must`` places of an item have a hit in every leak; half of that number
-    is asked for, and as many of the item's commonest places as that allows are left out."""
+    is asked for, and as many of the item's commonest places as that allows are left out.  Items of
+    fewer than ``MIN_ITEM_WORDS`` words are one seed of their own size."""
     words, first = _read(items.column("text"))
     size = np.diff(first)
     must = np.maximum(np.ceil(leak_at * size - 1e-9).astype(np.int64) - 1, 1)
@@ -90,9 +111,16 @@ def build_index(items: pa.Table, leak_at: float = LEAK_AT) -> Index:
     left_out[places[order][rank < (must - asked)[of[order]]]] = True
     use = ~left_out[at]
     win, owner, place = win[use], owner[use], at[use] - first[owner[use]]
+    short = tuple(k for k in range(1, MIN_ITEM_WORDS) if (size == k).any())
+    for k in short:
+        whole = np.flatnonzero(size == k)
+        own = tx.window_hashes(words, first, k)
+        win, owner = np.concatenate([win, own[0][np.searchsorted(own[1], first[whole])]]), np.concatenate([owner, whole])
+        place = np.concatenate([place, np.zeros(len(whole), np.int64)])
     order = np.argsort(win, kind="stable")
     slack = np.ceil(np.maximum(1 - leak_at, 0) * MATCH * size).astype(np.int64)
-    return Index(items.column("item_id").to_numpy(), words, first, win[order], owner[order], place[order], asked, slack)
+    slack[size < MIN_ITEM_WORDS] = 0
+    return Index(items.column("item_id").to_numpy(), words, first, win[order], owner[order], place[order], asked, slack, short)
 
 
 def align(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int]:
@@ -152,6 +180,10 @@ def _candidates(index: Index, words: np.ndarray, first: np.ndarray, mask: np.nda
     """Text, item and diagonal of each hit that has enough others after it in the reach of one alignment."""
     size = np.diff(index.first)
     win, at = _pairs(words, first)
+    for k in index.short:
+        if k != 2:  # pairs of neighbours are there
+            own = tx.window_hashes(words, first, k)
+            win, at = np.concatenate([win, own[0]]), np.concatenate([at, own[1]])
     maybe = mask[(win >> np.uint64(42)).astype(np.int64)]
     win, at = win[maybe], at[maybe]
     a, b = np.searchsorted(index.seeds, win, "left"), np.searchsorted(index.seeds, win, "right")
@@ -201,7 +233,7 @@ def scan(docs: DataFrame, index: Index, leak_at: float = LEAK_AT) -> DataFrame:
                             best = (score, x + s, x + e - 1)
                         if score == full:
                             break
-                    if best[0] >= leak_at * full:
+                    if best[0] >= (leak_at if n >= MIN_ITEM_WORDS else 1) * full:
                         out.append((d, i, best[0] / full, *best))
             ids = batch.column("doc_id").to_pylist()
             yield pa.RecordBatch.from_arrays(
@@ -217,8 +249,9 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, leak_at: float = LEAK_AT,
     """Leaked test items: ``doc_id, item_id, score, matched, first_word, last_word``.
 
     One row for each text row and item whose best alignment reaches ``leak_at`` of the item's full
-    score; word places count lower-cased runs of letters and digits.  Items with fewer than
-    ``MIN_ITEM_WORDS`` words, null items and null texts give nothing.  A benchmark beyond
+    score; word places count lower-cased runs of letters and digits, and single characters of
+    scripts without blanks.  Items with fewer than ``MIN_ITEM_WORDS`` words leak where they stand
+    whole; items without a word, null items and null texts give nothing.  A benchmark beyond
     ``pass_bytes`` is scanned for in several passes, so what an executor holds is bounded.
     """
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where("item_id is not null and text is not null")

@@ -312,3 +312,12 @@ def test_decontamination_reaches_every_alignment(spark):
     want = {(k, i): decontamination.align(code(t), code(x))[0] / (2 * len(t.split())) for k, x in enumerate(texts) for i, t in bench}
     assert got == {k: v for k, v in want.items() if v >= 0.5}
     assert all((k, i) in got for k in (0, 1) for i in range(10)) and (3, 10) in got and (4, 10) in got
+
+
+def test_decontamination_of_short_items_and_scripts_without_blanks(spark):
+    han = "春眠不覚暁処処聞啼鳥夜来風雨声花落知多少"
+    bench = spark.createDataFrame([(1, "Zanzibar"), (2, "two words"), (3, "these three words"), (4, han), (5, "?!")], "item_id long, text string")
+    texts = ["in zanzibar today", "two, words", "two other words", "say these three words now", "these three", "前文" + han[:12] + "他" + han[13:] + "abc", "春眠", "zanzibar" + han, "", None]
+    hits = decontamination.find_leaks(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), bench).collect()
+    got = {(r["doc_id"], r["item_id"]): (r["first_word"], r["last_word"]) for r in hits}
+    assert got == {(0, 1): (1, 1), (1, 2): (0, 1), (3, 3): (1, 3), (5, 4): (2, 21), (7, 1): (0, 0), (7, 4): (1, 20)}
