@@ -58,7 +58,8 @@ STAGES = [
     ("token_output", write_token_ids),
 ]
 
-# A conditional random field and a tokenizer are outside SQL; tests hold run() against plain Python.
+# A conditional random field and a tokenizer are outside SQL.  Tests hold the operators of the stages
+# against plain Python one by one; run() as a whole is not compared.
 ORACLE_SQL = None
 
 
