@@ -11,11 +11,13 @@ import os
 import re
 import uuid
 import zlib
+from array import array
 from collections.abc import Iterator
 from pathlib import PurePosixPath
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -36,67 +38,76 @@ def default_tokenizer() -> str:
 
 
 class WordEncoder:
-    """Ids of whole texts as little-endian 32-bit bytes, with a bounded store of encoded words."""
+    """Ids of whole texts as little-endian 32-bit bytes, with a bounded store of encoded words.
 
-    JOIN = "~"
-    ODD = re.compile("[\x1c-\x1f<~]")
+    Texts inside Latin-1 are cut at white space and each new word into the pre-tokens of the
+    tokenizer's own rule, whose ids come from its model; a probe at the start holds this against
+    the whole tokenizer.  The store has two halves: when the newer one is full it becomes the
+    older one, and words that are met again move over, so common words are never encoded twice.
+    """
+
+    ODD = re.compile("[\x1c-\x1f]")
+    PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
+    PROBE = "It's a PROBE, 12 times: we'll, don't! (é ÀÉß) x--y\t½²ª µ×÷ «q» \xa0a\x85b\n"
 
     def __init__(self, path: str, cache_words: int = CACHE_WORDS):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.limit = cache_words
+        self.model = self.tokenizer.model
+        self.half = max(1, cache_words // 2)
         self.cache: dict[str, bytes] = {}
-        self.join_id = self._ids(self.JOIN)
-        self.by_words = len(self.join_id) == 1 and self._ids("a, b.") == self._ids("a") + self._ids(",") + self._ids("b") + self._ids(".") and self._ids("AÉ") == self._ids("aé")
-
-    def _ids(self, text: str) -> list[int]:
-        return self.tokenizer.encode(text, add_special_tokens=False).ids
+        self.older: dict[str, bytes] = {}
+        # characters that stand for bytes in a byte-level vocabulary: printable ones for themselves, the others from 256 on
+        plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
+        self.bytes = dict(zip((b for b in range(256) if b not in plain), range(256, 512), strict=False))
+        self.by_words = True
+        self.by_words = self._by_words(self.PROBE) == self._pack(self.PROBE)
+        self.cache.clear()
 
     def _pack(self, text: str) -> bytes:
-        return np.array(self._ids(text), dtype="<u4").tobytes()
-
-    def _learn(self, fresh: list[str]) -> None:
-        cache, stems = self.cache, {}
-        for w in fresh:
-            stem = w[:-1] if w[-1] in ".," and w[:-1].isalpha() else w
-            if stem not in cache:
-                stems[stem] = None
-            if stem is not w and w[-1] not in cache:
-                cache[w[-1]] = self._pack(w[-1])
-        todo = list(stems)
-        for lo in range(0, len(todo), 64):
-            part = todo[lo : lo + 64]
-            ids = np.array(self._ids(f" {self.JOIN} ".join(part)), dtype="<u4")
-            cuts = np.flatnonzero(ids == self.join_id[0])
-            if len(cuts) != len(part) - 1:
-                cache.update((w, self._pack(w)) for w in part)
-                continue
-            raw, at = ids.tobytes(), 0
-            for w, end in zip(part, [*cuts.tolist(), len(ids)], strict=True):
-                cache[w] = raw[4 * at : 4 * end]
-                at = end + 1
-        for w in fresh:
+        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
+
+    def _piece(self, piece: str) -> bytes:
+        if not (piece.isascii() and piece.isprintable()):
+            piece = piece.encode().decode("latin-1").translate(self.bytes)
+        ids = [t.id for t in self.model.tokenize(piece)]
+        return array("I", ids).tobytes()
+
+    def _word(self, word: str) -> bytes:
+        if word.isalpha():
+            return self._piece(word)
+        cache, out = self.cache, []
+        for p in self.PIECES.findall(word):
+            ids = cache.get(p)
+            if ids is None:
+                ids = self.older.get(p)
+                cache[p] = ids = self._piece(p) if ids is None else ids
+            out.append(ids)
+        return b"".join(out)
+
+    def _by_words(self, text: str) -> bytes:
+        words = text.lower().split()
+        cache, older = self.cache, self.older
+        for w in dict.fromkeys(words):
             if w not in cache:
-                cache[w] = cache[w[:-1]] + cache[w[-1]]
+                known = older.get(w)
+                cache[w] = self._word(w) if known is None else known
+        out = b"".join(map(cache.__getitem__, words))
+        if len(cache) > self.half:
+            self.older, self.cache = cache, {}
+        return out
 
     def encode(self, text: str) -> bytes:
-        try:
-            text.encode("latin-1")
-        except UnicodeEncodeError:
-            return self._pack(text)
-        if not self.by_words or self.ODD.search(text):
+        if not text.isascii():
+            try:
+                text.encode("latin-1")
+            except UnicodeEncodeError:
+                return self._pack(text)
+        if not self.by_words or "<|" in text or self.ODD.search(text):
             return self._pack(text)
-        words = text.lower().split()
-        cache = self.cache
-        fresh = [w for w in dict.fromkeys(words) if w not in cache]
-        if fresh:
-            if len(cache) + 2 * len(fresh) > self.limit:
-                cache.clear()
-                fresh = list(dict.fromkeys(words))
-            self._learn(fresh)
-        return b"".join(map(cache.__getitem__, words))
+        return self._by_words(text)
 
 
 _encoders: dict[str, WordEncoder] = {}
