@@ -56,15 +56,19 @@ class Sparse:
         return np.bincount(self.column, g[self.row] * self.value, minlength=self.n_columns)
 
 
-def fit_logistic(x: Sparse, y: np.ndarray, l2: float = 1e-4, steps: int = 200, rate: float = 0.2, pairs: Sparse | None = None, pair_penalty: float = 0.0) -> tuple[np.ndarray, float]:
+def fit_logistic(x: Sparse, y: np.ndarray, l2: float = 1e-4, steps: int = 200, rate: float = 0.2, pairs: Sparse | None = None, pair_penalty: float = 0.0, sample_weight: np.ndarray | None = None) -> tuple[np.ndarray, float]:
     """Weights and intercept by full-batch Adam on the class-balanced loss.
 
-    ``pairs`` holds differences of feature rows whose scores should not change; their mean squared
+    ``sample_weight`` scales single rows inside their class.  ``pairs`` holds differences of feature rows whose scores should not change; their mean squared
     score change times ``pair_penalty`` is added to the loss.
     """
     w, b = np.zeros(x.n_columns), 0.0
     m, v, mb, vb = np.zeros_like(w), np.zeros_like(w), 0.0, 0.0
     weight = class_weights(y) / max(len(y), 1)
+    if sample_weight is not None:
+        of = y > 0
+        total = np.where(of, sample_weight[of].sum() / max(of.sum(), 1), sample_weight[~of].sum() / max((~of).sum(), 1))
+        weight = weight * sample_weight / np.maximum(total, 1e-12)
     for t in range(1, steps + 1):
         err = (sigmoid(x.dot(w) + b) - y) * weight
         g, gb = x.dot_t(err) + l2 * w, float(err.sum())

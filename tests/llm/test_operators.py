@@ -201,24 +201,49 @@ def test_held_out_quality_and_toxicity(spark, tiny):
     assert q[1] > 0.97 and q[0] < 0.05
     t = toxicity.op5_toxicity(spark, d).join(labels, "doc_id").where("held_out").groupBy("toxic").agg(F.avg("predicted").alias("p")).collect()
     t = {r["toxic"]: r["p"] for r in t}
-    assert t[1] > 0.6 and t[0] < 0.01
+    assert t[1] > 0.9 and t[0] < 0.01
     assert docs.count()
 
 
-def test_toxicity(spark, empty, docs):
+def test_toxicity(spark, empty, docs, clash, labels):
+    """A group's name that goes with the label, as abuse aimed at a group does, must not count by itself."""
     rng = np.random.default_rng(2)
-    texts = [(k, " ".join(f"w{x}" for x in rng.integers(0, 500, 20)) + (" awfulword" if k % 2 else "") + (" the women" if k % 4 == 1 else ""), k % 2) for k in range(600)]
+    texts = []
+    for k in range(900):
+        toxic = k % 3 == 0
+        abusive, names = (rng.random() < 0.75, rng.random() < 0.7) if toxic else (False, rng.random() < 0.06)
+        words = [f"w{x}" for x in rng.integers(0, 400, 14)] + ["awfulword"] * abusive + ["women"] * names
+        texts.append((k, " ".join(rng.permutation(words)) + ".", int(toxic)))
     d = spark.createDataFrame([(k, t) for k, t, _ in texts], "doc_id long, text string")
-    labels = spark.createDataFrame([(k, 1, y) for k, _, y in texts], "doc_id long, quality int, toxic int")
-    model = toxicity.fit(d, labels)
-    free = toxicity.fit(d, labels, pair_penalty=0.0)
-    # the group's name goes with the label here; the penalty keeps it from counting
-    probe = pa.array(["tree river the women", "tree river the", "awfulword tree", None, ""])
-    assert model.score(probe)[0] < 0.5 < model.score(probe)[2]
-    shift = lambda m: m.score(probe)[0] - m.score(probe)[1]
-    assert abs(shift(model)) <= abs(shift(free)) + 1e-9
-    assert toxicity.score_toxicity(empty, model).count() == 0 and toxicity.score_toxicity(docs, model).count() == len(ROWS)
-    toxicity.fit(empty, labels)
+    marks = spark.createDataFrame([(k, 1, y) for k, _, y in texts], "doc_id long, quality int, toxic int")
+    model, free = toxicity.fit(d, marks), toxicity.fit(d, marks, pair_penalty=0.0, mention_weight=0.0)
+    plain = [" ".join(f"w{x}" for x in rng.integers(0, 400, 12)) for _ in range(200)]
+    neutral = pa.array([f"{t} women" for t in plain])
+    gap = lambda m: float(np.abs(m.score(neutral) - m.score(pa.array(plain))).mean())
+    wrong = lambda m: float((m.score(neutral) >= 0.5).mean())
+    assert gap(model) < 0.5 * gap(free) and wrong(model) < wrong(free) and wrong(model) < 0.05
+    penalised = toxicity.fit(d, marks, mention_weight=0.0)
+    assert gap(penalised) < gap(free)
+    caught = model.score(pa.array([f"{t} awfulword" for t in plain]))
+    assert (caught >= 0.5).mean() > 0.9
+    assert toxicity.score_toxicity(empty, model).count() == 0 and toxicity.score_toxicity(clash, model).count() == len(ROWS)
+    assert {r["doc_id"] for r in toxicity.score_toxicity(docs, model).collect()} == {i for i, *_ in ROWS}
+    assert toxicity.fit(empty, labels).score(pa.array(["a", None])).tolist() == toxicity.fit(empty, labels).score(pa.array(["", "b"])).tolist()
+    toxicity.fit(docs, labels)
+
+
+def test_toxicity_does_not_depend_on_layout(spark, tiny):
+    d = tiny.replace("sf0.001", "sf0.01")
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet").select("doc_id", "text"), spark.read.parquet(f"{d}/labels.parquet")
+    a = toxicity.fit(docs, labels)
+    b = toxicity.fit(docs.repartition(7, "text"), labels.repartition(3))
+    assert np.array_equal(a.features, b.features) and np.array_equal(a.weights, b.weights) and (a.slope, a.shift) == (b.slope, b.shift)
+
+
+def test_swapped_names():
+    assert toxicity.swapped("the Women sang", 0) == [("the Women sang", "the men sang")]
+    (a, b), (c, plain) = toxicity.swapped("they sang", 3 + (1 << 8) + (1 << 16))
+    assert (a, b, c, plain) == ("they sang refugees", "they sang immigrants", "they sang refugees", "they sang")
 
 
 def test_licences(spark, empty):
