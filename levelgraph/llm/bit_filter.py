@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from levelgraph.runtime import materialize
+from levelgraph.runtime import discard, materialize
 
 # bits at most (32 MB); more ids only let more rows pass
 MAX_BITS = 1 << 28
@@ -28,6 +28,7 @@ class BitFilter:
             lo = (row["b"] - 1) * len(part)
             held[lo : lo + len(part)] |= part
         self.shared = ids.sparkSession.sparkContext.broadcast(held)
+        discard(ids)
 
     def slot(self, column: str) -> Column:
         return F.pmod(F.xxhash64(F.col(column).cast("long")), F.lit(self.bits)) + 1
@@ -42,10 +43,12 @@ def exclude(docs: DataFrame, ids: DataFrame, column: str) -> DataFrame:
     """Rows of ``docs`` whose ``column`` is not among ``ids``, all columns kept; null ids stay.
 
     Rows that the filter lets go by need no join; the others, few more than those named, are
-    joined exactly."""
+    joined exactly.  Columns may have any names.  An empty table on either side is no special case."""
     ids = materialize(ids.select(F.col(column).cast("long").alias("_gone")), "excluded")
     named = BitFilter(ids, "_gone")
-    columns = docs.columns
+    names = docs.columns
+    rows = docs.toDF(*[f"c{k}" for k in range(len(names))])
+    key = f"c{names.index(column)}"
 
     def side(want: bool) -> DataFrame:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -53,8 +56,8 @@ def exclude(docs: DataFrame, ids: DataFrame, column: str) -> DataFrame:
                 hit = named.holds(batch.column(batch.num_columns - 1).to_numpy())
                 yield batch.select(list(range(batch.num_columns - 1))).filter(pa.array(hit == want))
 
-        return docs.select("*", named.slot(column).alias("_slot")).mapInArrow(run, docs.schema)
+        return rows.select("*", named.slot(key).alias("slot")).mapInArrow(run, rows.schema)
 
     free, named_rows = side(False), side(True)
-    kept = named_rows.join(ids, named_rows[column].cast("long") == ids["_gone"], "left_anti")
-    return free.union(kept.select(*columns))
+    kept = named_rows.join(ids, named_rows[key].cast("long") == ids["_gone"], "left_anti")
+    return free.union(kept.select(*rows.columns)).toDF(*names)

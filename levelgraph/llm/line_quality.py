@@ -264,15 +264,20 @@ def score_quality(docs: DataFrame, model: Model) -> DataFrame:
 
 
 def drop_low_quality(docs: DataFrame, model: Model, at: float = PREDICT_AT) -> DataFrame:
-    """Rows of ``docs`` whose score reaches ``at``; all columns kept, texts scored whole."""
-    columns = docs.schema
+    """Rows of ``docs`` whose score reaches ``at``; all columns kept, whatever their names, texts scored whole.
+
+    Null and empty texts have the score of a text without lines; repeated rows are judged each and
+    an empty table gives an empty result."""
+    names = docs.columns
+    rows = docs.toDF(*[f"c{k}" for k in range(len(names))])
+    text = f"c{names.index('text')}"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in tx.slices(batches, "text", SLICE_BYTES):
-            good = model.score(model.bad_share(read_lines(batch.column("text")))) >= at
+        for batch in tx.slices(batches, text, SLICE_BYTES):
+            good = model.score(model.bad_share(read_lines(batch.column(text)))) >= at
             yield batch.filter(pa.array(good))
 
-    return docs.mapInArrow(run, columns)
+    return rows.mapInArrow(run, rows.schema).toDF(*names)
 
 
 def op7_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

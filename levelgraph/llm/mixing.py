@@ -1,10 +1,14 @@
 """Mixing sources to target weights by Pareto order sampling, in DataFrame functions only.
 
-A source's expected number of copies of a document is target / source size.  Its whole part is
-given to every document for certain; the fraction is drawn: documents are ranked by their random
-odds divided by their inclusion odds, and the first in that order are taken until the words still
-due are reached.  The cut inside a source is found from sums over narrow rank cells, so no source
-is ever sorted in one task: only the one cell that holds the cut is ordered document by document.
+A document's expected number of copies is its importance times a level of its source, at most
+``max_copies``; the level is such that the expected words of the source are its target.  The whole
+part is given for certain.  The fraction is the document's inclusion probability in the draw:
+documents are ranked by their random odds divided by their inclusion odds, and the first in that
+order are taken until the words still due are reached.
+
+Nothing of the size of a source is brought together: levels come from sums by source and
+importance, and the cut of a source from sums over rank cells, 256 to a source, the one that holds
+the cut being cut into 256 again until it is small.
 """
 
 from __future__ import annotations
@@ -12,12 +16,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from levelgraph.runtime import materialize
+from levelgraph.runtime import discard, materialize
 
 WEIGHTS = (5, 2, 1)
 SHARE = 1.5
 MAX_COPIES = 2
-CELLS = 1 << 14
+FAN = 256
+# rows of the cell that is ordered row by row, at most, unless they tie
+CELL_ROWS = 4096
+UNIT = 1024.0
 SEED = 11
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -65,58 +72,111 @@ def _key() -> Column:
     return F.struct(F.col("source").isNull().alias("null"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("name"))
 
 
-def _turn(seed: int) -> Column:
-    """Place of a row in its source's order: its random odds over its inclusion odds, as a number in (0, 1).
+def _quoted(name: str) -> Column:
+    return F.col("`" + name.replace("`", "``") + "`")
 
-    Ties go by id and size; equal where the chance is one half to the uniform number itself."""
-    u = uniform(seed, "_id", "_size")
-    chance = F.least(F.greatest(F.col("due") * F.col("_tilt") / F.col("tilted"), F.lit(1e-9)), F.lit(1 - 1e-9))
-    odds = (u / (1 - u)) / (chance / (1 - chance))
-    return F.when(F.col("tilted") > 0, odds / (1 + odds)).otherwise(F.lit(0.5))
+
+def default_importance(size: Column) -> Column:
+    """Longer documents are likelier, by the square root of their size."""
+    return F.sqrt(size + 1)
 
 
-def _sized(docs: DataFrame, size: Column | None, importance: Column | None) -> DataFrame:
-    tilt = F.lit(1.0) if importance is None else importance.cast("double")
+def _sized(docs: DataFrame, size: Column | None, importance: Column | None, *more: Column) -> DataFrame:
+    """``_id, _size, _tilt, _key`` of each row and what ``more`` adds; the tilt is the importance in whole units."""
     number = word_count(F.col("text")) if size is None else size.cast("long")
-    return docs.withColumns({"_id": F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))), "_size": number, "_tilt": tilt, "_key": _key()})
-
-
-def draw_plan(rows: DataFrame, weights: tuple[int, ...], share: float, max_copies: int, seed: int, cells: int) -> DataFrame:
-    """One row per source: target, certain copies, and the last place that is drawn.
-
-    Of ``rows`` (``_id, _size, _tilt, _key``) only sums by source and rank cell are shuffled, and
-    the rows of the one cell per source in which the words still due run out."""
-    sums = rows.groupBy("_key").agg(F.sum("_size").alias("source_size"), F.sum(F.col("_size") * F.col("_tilt")).alias("tilted"))
-    named = sums.select(F.when(~F.col("_key.null"), F.col("_key.name")).alias("source"), "source_size")
-    plan = source_targets(named, weights, share, max_copies).withColumn("_key", _key()).drop("source")
-    plan = plan.join(sums.drop("source_size"), "_key")
-    whole = F.floor(F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0)))
-    plan = plan.withColumn("whole", F.least(whole, F.lit(max_copies)).cast("long"))
-    plan = materialize(plan.withColumn("due", F.col("target") - F.col("whole") * F.col("source_size")), "mix_plan")
-
-    ranked = rows.join(plan.select("_key", "due", "tilted"), "_key").withColumn("turn", _turn(seed))
-    ranked = ranked.withColumn("cell", F.floor(F.col("turn") * cells).cast("int"))
-    cell = ranked.groupBy("_key", "cell").agg(F.sum("_size").alias("words"), F.first("due").alias("due"))
-    run = Window.partitionBy("_key").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
-    cell = cell.withColumn("before", F.coalesce(F.sum("words").over(run), F.lit(0)))
-    # the cell in which the words due run out; sources whose words all fit have none
-    last = cell.where((F.col("before") <= F.col("due")) & (F.col("before") + F.col("words") > F.col("due"))).groupBy("_key").agg(F.max(F.struct("cell", "before")).alias("c"))
-    last = materialize(last.select("_key", "c.cell", "c.before"), "mix_cells")
-    inner = Window.partitionBy("_key").orderBy("turn", "_id", "_size").rowsBetween(Window.unboundedPreceding, -1)
-    split = ranked.join(last, ["_key", "cell"]).withColumn("ahead", F.col("before") + F.coalesce(F.sum("_size").over(inner), F.lit(0)))
-    cut = split.where(F.col("ahead") + F.col("_size") / 2 <= F.col("due")).groupBy("_key").agg(F.max(F.struct("turn", "_id", "_size")).alias("cut"))
-    start = F.struct((F.col("cell") / cells).alias("turn"), F.lit(-(1 << 63)).cast("long").alias("_id"), F.lit(-1).cast("long").alias("_size"))
-    cuts = last.join(cut, "_key", "left").select("_key", F.coalesce("cut", start).alias("cut"))
-    end = F.struct(F.lit(2.0).alias("turn"), F.lit(0).cast("long").alias("_id"), F.lit(0).cast("long").alias("_size"))
-    none = F.struct(F.lit(-1.0).alias("turn"), F.lit(0).cast("long").alias("_id"), F.lit(0).cast("long").alias("_size"))
-    out = plan.join(cuts, "_key", "left").withColumn("cut", F.when(F.col("due") <= 0, none).otherwise(F.coalesce("cut", end)))
-    return materialize(out, "mix_draw")
+    tilt = F.col("_weight") if importance is not None else default_importance(F.col("_size"))
+    first = docs.select(*more, F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("_id"), number.alias("_size"), _key().alias("_key"), *([importance.cast("double").alias("_weight")] if importance is not None else []))
+    names = [x for x in first.columns if x not in ("_id", "_size", "_key", "_weight")]
+    units = F.greatest(F.floor(F.coalesce(tilt, F.lit(0.0)) * UNIT), F.lit(1)).cast("long")
+    return first.select(*names, "_id", "_size", "_key", units.alias("_tilt"))
+
+
+def source_levels(rows: DataFrame, targets: DataFrame, max_copies: int) -> DataFrame:
+    """``_key, source_size, target, level``: ``sum(size * least(max_copies, level * tilt))`` is the target.
+
+    Documents at the cap are taken out and their words off the target, until no other reaches it;
+    sums are exact, so the level does not depend on the order of rows."""
+    heap = materialize(rows.where("_size > 0").groupBy("_key", "_tilt").agg(F.sum(F.col("_size").cast("decimal(38,0)")).alias("words")), "mix_weights")
+    state = targets.withColumns({"level": F.lit(0.0), "held": F.lit(-1).cast("decimal(38,0)")})
+    while True:
+        capped = F.col("level") * F.col("_tilt") >= max_copies
+        part = heap.join(state, "_key").groupBy("_key").agg(
+            F.first("source_size").alias("source_size"), F.first("target").alias("target"), F.first("level").alias("was"), F.first("held").alias("before"),
+            F.coalesce(F.sum(F.when(capped, F.col("words"))), F.lit(0)).cast("decimal(38,0)").alias("held"),
+            F.sum(F.when(~capped, F.col("words") * F.col("_tilt"))).cast("double").alias("open"),
+        )
+        full = F.col("target") >= max_copies * F.col("source_size")
+        level = F.when(full, F.lit(1e300)).when(F.col("open").isNull(), F.col("was")).otherwise((F.col("target") - max_copies * F.col("held").cast("double")) / F.col("open"))
+        new = materialize(part.select("_key", "source_size", "target", level.alias("level"), "held", (F.col("held") != F.col("before")).alias("moved")), "mix_levels")
+        more = not new.where(F.col("moved") & (F.col("level") < 1e300)).isEmpty()
+        discard(state)
+        state = new.drop("moved")
+        state._levelgraph_path = new._levelgraph_path
+        if not more:
+            discard(heap)
+            return state.drop("held")
+
+
+def _drawn(rows: DataFrame, plan: DataFrame, max_copies: int, seed: int) -> DataFrame:
+    """Adds ``_whole``, the certain copies, and ``_turn``, the place in the source's order in (0, 1); null where nothing is left to chance.
+
+    The turn is the random odds over the inclusion odds, as a number in (0, 1); ties go by id and size."""
+    u = uniform(seed, "_id", "_size")
+    out = rows.join(plan, "_key").withColumn("_due", F.least(F.col("level") * F.col("_tilt"), F.lit(float(max_copies))))
+    out = out.withColumn("_whole", F.floor("_due").cast("long"))
+    chance = F.least(F.greatest(F.col("_due") - F.col("_whole"), F.lit(1e-9)), F.lit(1 - 1e-9))
+    odds = (u / (1 - u)) / (chance / (1 - chance))
+    return out.withColumn("_turn", F.when(F.col("_due") > F.col("_whole"), odds / (1 + odds))).drop("_due")
+
+
+def draw_plan(rows: DataFrame, weights: tuple[int, ...], share: float, max_copies: int, seed: int, cell_rows: int = CELL_ROWS) -> DataFrame:
+    """One row per source: ``_key, source_size, target, level, stop``; rows whose turn is before ``stop`` are drawn.
+
+    Of ``rows`` (``_id, _size, _tilt, _key``) only sums are shuffled, and the rows of one small cell per source."""
+    sums = rows.groupBy("_key").agg(F.sum("_size").alias("source_size"))
+    targets = source_targets(sums.select(F.when(~F.col("_key.null"), F.col("_key.name")).alias("source"), "source_size"), weights, share, max_copies)
+    targets = materialize(targets.select(_key().alias("_key"), "source_size", "target"), "mix_targets")
+    levels = source_levels(rows, targets, max_copies)
+    # sources without a word have no level; nothing of them is taken whatever it is
+    levels = targets.join(levels.select("_key", "level"), "_key", "left").withColumn("level", F.coalesce("level", F.lit(0.0)))
+    levels = materialize(levels, "mix_levels")
+    ranked = _drawn(rows, levels, max_copies, seed)
+    due = ranked.groupBy("_key").agg(F.sum(F.col("_whole") * F.col("_size")).alias("certain"))
+    state = levels.join(due, "_key").select("_key", (F.col("target") - F.col("certain")).alias("due"), F.lit(0).cast("long").alias("cell"), F.lit(0).cast("long").alias("before"))
+    state = materialize(state, "mix_cells")
+    chosen = ranked.where("_turn is not null").select("_key", "_id", "_size", "_turn")
+    cells = 1
+    while True:
+        cells *= FAN
+        inner = chosen.join(state.withColumnRenamed("cell", "outer"), "_key").withColumn("cell", F.floor(F.col("_turn") * cells).cast("long")).where(F.expr(f"cell div {FAN} = outer"))
+        part = inner.groupBy("_key", "cell").agg(F.sum("_size").alias("words"), F.count("*").alias("n"), F.first("due").alias("due"), F.first("before").alias("base"))
+        run = Window.partitionBy("_key").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)  # at most FAN rows a source
+        part = part.withColumn("before", F.col("base") + F.coalesce(F.sum("words").over(run), F.lit(0)))
+        # the first cell in which the words due run out; sources whose words all fit have none
+        new = part.where(F.col("before") + F.col("words") > F.col("due")).groupBy("_key").agg(F.min(F.struct("cell", "before", "due", "n")).alias("c"))
+        new = materialize(new.select("_key", "c.due", "c.cell", "c.before", "c.n"), "mix_cells")
+        most = new.agg(F.max("n").alias("n")).first()["n"] or 0
+        discard(state)
+        state = new
+        if most <= cell_rows or cells >= FAN**6:
+            break
+    rest = chosen.join(state.drop("n"), "_key").where(F.floor(F.col("_turn") * cells).cast("long") == F.col("cell"))
+    ties = rest.groupBy("_key", "_turn", "_id", "_size", "due", "before").agg((F.count("*") * F.col("_size")).alias("words"))
+    order = Window.partitionBy("_key").orderBy("_turn", "_id", "_size").rowsBetween(Window.unboundedPreceding, -1)
+    late = ties.withColumn("ahead", F.col("before") + F.coalesce(F.sum("words").over(order), F.lit(0))).where(F.col("ahead") + F.col("words") / 2 > F.col("due"))
+    place = lambda turn: F.struct(turn.cast("double").alias("turn"), F.lit(-(1 << 63)).cast("long").alias("_id"), F.lit(-1).cast("long").alias("_size"))
+    stop = late.groupBy("_key").agg(F.min(F.struct(F.col("_turn").alias("turn"), "_id", "_size")).alias("late"))
+    stops = state.join(stop, "_key", "left").select("_key", F.coalesce("late", place((F.col("cell") + 1) / cells)).alias("stop"))
+    out = materialize(levels.join(stops, "_key", "left").withColumn("stop", F.coalesce("stop", place(F.lit(2.0)))), "mix_draw")
+    for table in (state, levels, targets):
+        discard(table)
+    return out
 
 
 def _copies(rows: DataFrame, plan: DataFrame, max_copies: int, seed: int) -> DataFrame:
-    out = rows.join(plan, "_key").withColumn("_turn", _turn(seed))
-    drawn = F.struct(F.col("_turn").alias("turn"), "_id", "_size") <= F.col("cut")
-    return out.withColumn("_copies", F.least(F.col("whole") + drawn.cast("long"), F.lit(max_copies)))
+    out = _drawn(rows, plan, max_copies, seed)
+    drawn = F.coalesce(F.struct(F.col("_turn").alias("turn"), "_id", "_size") < F.col("stop"), F.lit(False)) & F.col("_turn").isNotNull()
+    return out.withColumn("_copies", F.least(F.col("_whole") + drawn.cast("long"), F.lit(max_copies)))
 
 
 def mix(
@@ -127,34 +187,36 @@ def mix(
     max_copies: int = MAX_COPIES,
     importance: Column | None = None,
     seed: int = SEED,
-    cells: int = CELLS,
+    cell_rows: int = CELL_ROWS,
 ) -> DataFrame:
     """Copies of each row of ``docs`` (``doc_id``, ``text``, ``source``) in the mix.
 
-    Returns ``doc_id, source, size, source_size, target, copies, taken``.  ``importance`` tilts the
-    inclusion probabilities inside a source (1 for all by default, so they differ between sources
-    only).  Null texts and texts without words have size 0; a null source is a source of its own;
-    null ids count as one id.  Rows that repeat an id and a size get the same draw, and each
-    counts.  An empty table gives an empty result.
+    Returns ``doc_id, source, size, source_size, target, copies, taken``.  ``importance`` sets how
+    the expected copies of documents of one source compare (by default the square root of their
+    size; a literal gives all the same).  Null texts and texts without words have size 0 and null
+    importances count as the least; a null source is a source of its own; null ids count as one
+    id.  Rows that repeat an id and a size get the same draw, and each counts.  An empty table
+    gives an empty result; other columns are ignored, whatever their names.
     """
-    rows = _sized(docs, size, importance).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), "_id", "_size", "_tilt", "_key")
+    rows = _sized(docs, size, importance, F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"))
     rows = materialize(rows, "mix_sizes")
-    plan = draw_plan(rows, weights, share, max_copies, seed, cells)
+    plan = draw_plan(rows, weights, share, max_copies, seed, cell_rows)
     out = _copies(rows, plan, max_copies, seed)
     return out.select("doc_id", "source", F.col("_size").alias("size"), "source_size", "target", F.col("_copies").alias("copies"), (F.col("_copies") * F.col("_size")).alias("taken"))
 
 
 def mixed_documents(
-    docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, max_copies: int = MAX_COPIES, importance: Column | None = None, seed: int = SEED, cells: int = CELLS
+    docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, max_copies: int = MAX_COPIES, importance: Column | None = None, seed: int = SEED, cell_rows: int = CELL_ROWS
 ) -> DataFrame:
     """The mix itself: every row of ``docs`` as often as it is drawn, with its own columns.
 
-    The draw is decided from one small row per source, so texts stay where they are read."""
-    body = F.struct(*[F.col(c) for c in docs.columns]).alias("_row")
-    sized = _sized(docs, None, importance)
-    rows = materialize(sized.select("_id", "_size", "_tilt", "_key"), "mix_sizes")
-    plan = draw_plan(rows, weights, share, max_copies, seed, cells)
-    drawn = _copies(_sized(docs.select("*", body), None, importance).select("_row", "_id", "_size", "_tilt", "_key"), plan, max_copies, seed).where("_copies > 0")
+    The draw is decided from one small row per source, so texts stay where they are read.  Nulls,
+    ties, repeated rows and empty tables are treated as in :func:`mix`."""
+    rows = materialize(_sized(docs, None, importance), "mix_sizes")
+    plan = draw_plan(rows, weights, share, max_copies, seed, cell_rows)
+    discard(rows)
+    body = F.struct(*[_quoted(c) for c in docs.columns]).alias("_row")
+    drawn = _copies(_sized(docs, None, importance, body), plan, max_copies, seed).where("_copies > 0")
     return drawn.select("_row", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int"))).alias("_copy")).select("_row.*")
 
 

@@ -19,8 +19,16 @@ weighed as (select source, source_size, ([5, 2, 1])[((row_number() over (order b
 ratios as (select *, cap / weight as ratio from weighed),
 levels as (select *, (sum(source_size) over ()::double * 1.5 - coalesce(sum(cap) over (order by ratio, source nulls last rows between unbounded preceding and 1 preceding), 0.0)) / sum(weight) over (order by ratio, source nulls last rows between current row and unbounded following) as level from ratios),
 targets as (select source, source_size, case when f.level is null or f.level >= ratio then cap else f.level * weight end as target from levels left join (select ratio as r, level from levels where level <= ratio order by ratio, level limit 1) f on true),
-due as (select *, least(floor(case when source_size > 0 then target / source_size else 0 end), 2)::bigint as whole from targets),
-ranked as (select d.doc_id, d.size, t.source_size, t.target, t.whole, t.target - t.whole * t.source_size as due, coalesce(sum(d.size) over (partition by d.source order by md5('11:' || coalesce(d.doc_id, -9223372036854775808) || ':' || d.size)[1:13], d.doc_id, d.size rows between unbounded preceding and 1 preceding), 0) as ahead from sized d join due t on d.source is not distinct from t.source)
-select doc_id, size, source_size, target, (least(whole + case when due > 0 and ahead + size / 2.0 <= due then 1 else 0 end, 2) * size)::bigint as taken from ranked"""
+units as materialized (select doc_id, source, size, greatest(floor(sqrt((size + 1)::double) * 1024.0), 1)::bigint as tilt from sized),
+heaps as (select source, tilt, sum(size)::hugeint as words from units where size > 0 group by 1, 2),
+steps as (select h.source, tilt, t.target, coalesce(sum(words) over (partition by h.source order by tilt desc rows between unbounded preceding and 1 preceding), 0)::double as held, (sum(words * tilt) over (partition by h.source order by tilt desc rows between current row and unbounded following))::double as open from heaps h join targets t on h.source is not distinct from t.source),
+leveled as (select source, arg_max((target - 2 * held) / open, tilt) as level from steps where (target - 2 * held) / open * tilt < 2 group by source),
+dues as (select d.*, t.source_size, t.target, case when t.target >= 2 * t.source_size then 2.0::double else least(coalesce(l.level, 1e300) * tilt, 2.0::double) end as due from units d join targets t on d.source is not distinct from t.source left join leveled l on l.source is not distinct from d.source),
+drawn as (select *, floor(due)::bigint as whole, least(greatest(due - floor(due), 1e-9), 1 - 1e-9) as chance, (('0x' || md5('11:' || coalesce(doc_id, -9223372036854775808) || ':' || size)[1:13])::bigint + 0.5::double) / 4503599627370496.0::double as u from dues),
+turned as (select *, (u / (1 - u)) / (chance / (1 - chance)) as odds, due > floor(due) as open from drawn),
+owed as (select source, max(target) - sum(whole * size) as owed from turned group by source),
+ranked as (select t.*, o.owed, coalesce(sum(case when open then size end) over (partition by t.source order by open desc, odds / (1 + odds), doc_id, size rows between unbounded preceding and 1 preceding), 0) as ahead from turned t join owed o on t.source is not distinct from o.source),
+cut as (select *, open and not bool_or(open and ahead + size / 2.0 > owed) over (partition by source order by open desc, odds / (1 + odds), doc_id, size rows between unbounded preceding and current row) as taken from ranked)
+select doc_id, size, source_size, target, ((whole + case when taken then 1 else 0 end) * size)::bigint as taken from cut"""
 
 ORACLES = {"op1_near_duplicates": NEAR_DUPLICATES, "op2_source_mix": SOURCE_MIX}

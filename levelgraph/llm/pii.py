@@ -143,23 +143,36 @@ def find_personal_data(docs: DataFrame, text: str = "text", keep_score: float =
     """Adds ``personal_data``: spans ``(start, rank, end, kind, score)`` by start, then kind.
 
     Spans of base kinds stay whatever their score; spans of the other kinds stay from
-    ``keep_score`` on.  Null and empty texts have no spans.  Limits are code points, end
-    exclusive.  All other columns are kept; a column already named ``personal_data`` is replaced.
+    ``keep_score`` on.  Null and empty texts have no spans; an empty table gives an empty result and
+    repeated rows are searched each.  Limits are code points, end exclusive.  All other columns are
+    kept, whatever their names; a column already named ``personal_data`` is replaced.
     """
+    names = [c for c in docs.columns if c != "personal_data"]
+    rows = docs.select(*[F.col(f"`{c.replace('`', '``')}`").alias(f"c{k}") for k, c in enumerate(names)])
+    return _with_spans(rows, f"c{names.index(text)}", keep_score).toDF(*names, "personal_data")
+
+
+def _with_spans(rows: DataFrame, text: str, keep_score: float = KEEP_SCORE) -> DataFrame:
+    """``rows`` (columns named by their place) with ``spans`` at the end."""
     body = F.coalesce(F.col(text).cast("string"), F.lit(""))
-    held = [f"_pii_{k.name}" for k in KINDS]
-    out = docs.withColumns({h: proposed(body, k) for h, k in zip(held, KINDS, strict=True)})
+    held = [f"of_{k.name}" for k in KINDS]
+    out = rows.withColumns({h: proposed(body, k) for h, k in zip(held, KINDS, strict=True)})
     parts = []
     for h, k in zip(held, KINDS, strict=True):
         spans = scored(body, k, F.col(h))
         parts.append(spans if k.base else F.filter(spans, lambda s: s["score"] >= keep_score))
-    return out.withColumn("personal_data", F.array_sort(F.concat(*parts))).drop(*held)
+    return out.withColumn("spans", F.array_sort(F.concat(*parts))).drop(*held)
 
 
 def redact(docs: DataFrame, text: str = "text", mark: str = "<{}>") -> DataFrame:
-    """Texts with every found span replaced by a mark of its kind; overlapping spans are cut at the first."""
-    found = find_personal_data(docs, text)
-    body = F.coalesce(F.col(text).cast("string"), F.lit(""))
+    """Texts with every found span replaced by a mark of its kind; overlapping spans are cut at the first.
+
+    Null texts become empty; all columns are kept, whatever their names."""
+    names = docs.columns
+    rows = docs.toDF(*[f"c{k}" for k in range(len(names))])
+    column = f"c{names.index(text)}"
+    found = _with_spans(rows, column)
+    body = F.coalesce(F.col(column).cast("string"), F.lit(""))
     pre, post = mark.split("{}")
     start = F.struct(F.lit(0).cast("bigint").alias("at"), F.lit("").alias("out"))
 
@@ -168,8 +181,8 @@ def redact(docs: DataFrame, text: str = "text", mark: str = "<{}>") -> DataFrame
         joined = F.concat(acc["out"], gap, F.lit(pre), s["kind"], F.lit(post))
         return F.when(s["start"] < acc["at"], acc).otherwise(F.struct(s["end"].alias("at"), joined.alias("out")))
 
-    done = F.aggregate("personal_data", start, step, lambda acc: F.concat(acc["out"], F.substring(body, (acc["at"] + 1).cast("int"), F.length(body))))
-    return found.withColumn(text, done).drop("personal_data")
+    done = F.aggregate("spans", start, step, lambda acc: F.concat(acc["out"], F.substring(body, (acc["at"] + 1).cast("int"), F.length(body))))
+    return found.withColumn(column, done).drop("spans").toDF(*names)
 
 
 def _listed(spans: Column) -> Column:

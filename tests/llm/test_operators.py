@@ -35,8 +35,8 @@ def empty(spark):
 @pytest.fixture(scope="module")
 def clash(docs):
     """Extra columns with names that operators use themselves."""
-    names = ["key", "rank", "score", "kept", "size", "label", "doc", "a", "b", "start", "_copies"]
-    return docs.withColumns({n: F.lit(n) for n in names})
+    names = ["key", "rank", "score", "kept", "size", "label", "doc", "a", "b", "start", "_copies", "_row", "_slot", "_id", "_key", "_tilt", "slot", "c0", "a.b", "spans", "personal_data", "of_email", "level", "cell", "x`y"]
+    return docs.select("*", *[F.lit(n).alias(n) for n in names])
 
 
 @pytest.fixture(scope="module")
@@ -83,6 +83,7 @@ def test_mix(docs, empty, clash):
     assert all(r["target"] <= 2 * r["source_size"] + 1e-9 for r in by.values())
     mixed = mixing.mixed_documents(clash)
     assert mixed.columns == clash.columns and mixed.count() == sum(r["copies"] for r in out)
+    assert mixing.mixed_documents(empty).count() == 0 and all(r["x`y"] == "x`y" and r["a.b"] == "a.b" for r in mixed.collect())
 
 
 def test_mix_hits_targets(spark):
@@ -94,6 +95,61 @@ def test_mix_hits_targets(spark):
     assert counts[0] > 2 * counts[1]
 
 
+def mixed_by_hand(rows, targets, most=2, seed=11, tilt=None):
+    """(id, size, source) -> copies, by sorting each source in memory."""
+    import hashlib
+    import math
+
+    out = {}
+    for source, target in targets.items():
+        mine = [(i, n, (tilt or (lambda i, n: max(1, int(math.sqrt(n + 1) * 1024))))(i, n)) for i, n, s in rows if s == source]
+        level, capped = 0.0, set()
+        while target < most * sum(n for _, n, _ in mine):
+            level = (target - most * sum(n for i, n, _ in mine if i in capped)) / sum(n * x for i, n, x in mine if i not in capped)
+            more = {i for i, n, x in mine if n and level * x >= most}
+            if more == capped:
+                break
+            capped = more
+        else:
+            level = 1e300
+        order, ahead, due = [], 0, target
+        for i, n, x in mine:
+            e = min(level * x, float(most))
+            out[i] = math.floor(e)
+            due -= math.floor(e) * n
+            if e > math.floor(e):
+                u = (int(hashlib.md5(f"{seed}:{i}:{n}".encode()).hexdigest()[:13], 16) + 0.5) / (1 << 52)
+                p = min(max(e - math.floor(e), 1e-9), 1 - 1e-9)
+                odds = (u / (1 - u)) / (p / (1 - p))
+                order.append((odds / (1 + odds), i, n))
+        for _, i, n in sorted(order):
+            if ahead + n / 2 > due:
+                break
+            out[i] += 1
+            ahead += n
+    return out
+
+
+def test_mix_against_a_sort_in_memory(spark):
+    """Capped documents, a hot source cut in small cells, and odds that differ by size."""
+    rng = np.random.default_rng(5)
+    rows = [(i, int(rng.integers(0, 4)) if i % 3 else int(rng.integers(1, 900)), "hot" if i % 3 else f"s{i % 4}") for i in range(4000)]
+    docs = spark.createDataFrame([(i, "w " * n, s) for i, n, s in rows], "doc_id long, text string, source string")
+    for share, importance in ((0.4, None), (1.5, None), (1.5, F.when(F.col("doc_id") % 50 == 0, 40.0).otherwise(1.0))):
+        got = mixing.mix(docs, share=share, importance=importance, cell_rows=8).collect()
+        targets = {r["source"]: r["target"] for r in got}
+        tilt = None if importance is None else lambda i, n: 40 * 1024 if i % 50 == 0 else 1024
+        assert {r["doc_id"]: r["copies"] for r in got} == mixed_by_hand(rows, targets, tilt=tilt)
+        if importance is not None:
+            assert {r["copies"] for r in got if r["doc_id"] % 50 == 0 and r["size"] and r["source"] != "hot"} == {2}
+
+
+def test_mix_of_ties_and_repeated_rows(spark):
+    docs = spark.createDataFrame([(1, "a b", "x")] * 500 + [(2, "a b", "x")] * 500 + [(None, "a", None)] * 3, "doc_id long, text string, source string")
+    out = mixing.mix(docs, cell_rows=4).collect()
+    assert len(out) == 1003 and len({(r["doc_id"], r["copies"]) for r in out}) == 3 and sum(r["taken"] for r in out if r["source"] == "x") in (2000, 3000, 4000)
+
+
 def test_token_output(docs, empty, clash):
     from tokenizers import Tokenizer
 
@@ -280,7 +336,7 @@ def test_licences_of_other_versions_and_parts_of_notices(spark):
     assert got == {1: "gpl", 2: "", 3: "gpl", 4: "gpl,gpl-3.0", 5: "gpl,gpl-3.0", 6: "apache-2.0", 7: "mit", 8: "", 9: "", 10: ""}
 
 
-def test_personal_data(docs, empty, spark):
+def test_personal_data(docs, empty, spark, clash):
     found = {r["doc_id"]: [(s["kind"], s["start"], s["end"]) for s in r["personal_data"]] for r in pii.find_personal_data(docs).collect()}
     t = ROWS[-1][1]
     want = [(k, t.index(x), t.index(x) + len(x)) for k, x in (("email", "joe.b@mail.example.com"), ("phone", "+1 (239) 555-1768"), ("ip", "10.0.0.255"), ("card", "4539 1488 0343 6467"))]
@@ -290,6 +346,10 @@ def test_personal_data(docs, empty, spark):
     assert ("email", "a@b.c.x") in got[1] and ("email", "_y@d.e") in got[1] and ("iban", "DE89 3704 0044 0532 0130 00") in got[1] and ("ip", "5.6.7.8") in got[1]
     assert pii.find_personal_data(empty).count() == 0
     assert "joe.b@" not in rows(pii.redact(docs))[11]["text"]
+    hidden = pii.redact(clash)
+    assert hidden.columns == clash.columns and all(r["personal_data"] == "personal_data" for r in hidden.collect())
+    named = pii.find_personal_data(clash)
+    assert named.columns == [*(c for c in clash.columns if c != "personal_data"), "personal_data"] and {r["spans"] for r in named.collect()} == {"spans"}
 
 
 def test_ibans_before_capitals_numbers_and_stops(spark):
