@@ -26,7 +26,7 @@ from levelgraph.llm.token_file import ShardReader, ShardWriter
 from levelgraph.runtime import materialize, new_path
 
 END_ID = 2
-CACHE_WORDS = 250_000
+CACHE_WORDS = 400_000
 MANIFEST = "shard int, path string, n_docs long, n_ids long"
 TOKENS = "shard int, pos long, doc_id long, n_tokens long, ids_crc32 long"
 
@@ -72,14 +72,13 @@ class WordEncoder:
     def _piece(self, piece: str) -> bytes:
         if not (piece.isascii() and piece.isprintable()):
             piece = piece.encode().decode("latin-1").translate(self.bytes)
-        ids = [t.id for t in self.model.tokenize(piece)]
-        return array("I", ids).tobytes()
+        return array("I", [t.id for t in self.model.tokenize(piece)]).tobytes()
 
     def _word(self, word: str) -> bytes:
         if word.isalpha():
             return self._piece(word)
-        cache, out = self.cache, []
-        for p in self.PIECES.findall(word):
+        cache, out, body = self.cache, [], word[:-1]
+        for p in (body, word[-1]) if body.isalpha() and word[-1] in ".,!?" else self.PIECES.findall(word):
             ids = cache.get(p)
             if ids is None:
                 ids = self.older.get(p)
@@ -90,10 +89,9 @@ class WordEncoder:
     def _by_words(self, text: str) -> bytes:
         words = text.lower().split()
         cache, older = self.cache, self.older
-        for w in dict.fromkeys(words):
-            if w not in cache:
-                known = older.get(w)
-                cache[w] = self._word(w) if known is None else known
+        for w in set(words).difference(cache):
+            known = older.get(w)
+            cache[w] = self._word(w) if known is None else known
         out = b"".join(map(cache.__getitem__, words))
         if len(cache) > self.half:
             self.older, self.cache = cache, {}
