@@ -1,7 +1,8 @@
 """Breadth-first search by levels: top-down, bottom-up and switching between them.
 
-Each level is one declarative plan.  Its result is written, which cuts the lineage and yields the
-counters for the next decision; no vertex is ever held on the driver.
+Each level is one plan.  Its result is written, which cuts the lineage and yields the counters for
+the next decision.  Steps come in two forms with the same results: joins of tables, and scans of
+lists stored by range with visited and frontier sets as packed words, which are at most 32 MB.
 """
 
 from __future__ import annotations
@@ -9,11 +10,15 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, Window
+import numpy as np
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from levelgraph.balance.ranges import default_lambda, label_ranges
+from levelgraph.bfs import kernels
+from levelgraph.bitmap import words as bw
 from levelgraph.graph.build import Graph
+from levelgraph.graph.rank import global_rank
 from levelgraph.plans.switch import ALPHA, BETA, StepState, choose
 from levelgraph.runtime import discard, materialize
 
@@ -22,11 +27,11 @@ BROADCAST_ROWS = 1 << 17
 LEVEL = "v long, parent long, depth int, deg long"
 
 VARIANTS = {
-    "base": dict(order="id", two_pass=False, trim=False, ranges="equal"),
-    "no_isolated": dict(order="id", two_pass=False, trim=False, ranges="equal"),
-    "reordered": dict(order="deg_desc", two_pass=False, trim=False, ranges="equal"),
-    "reordered_lb": dict(order="deg_desc", two_pass=True, trim=True, ranges="descending"),
-    "reordered_lb_vec": dict(order="deg_desc", two_pass=True, trim=True, ranges="descending"),
+    "base": dict(order="id", two_pass=False, trim=False, ranges="equal", vectorized=False),
+    "no_isolated": dict(order="id", two_pass=False, trim=False, ranges="equal", vectorized=False),
+    "reordered": dict(order="id", two_pass=False, trim=False, ranges="equal", vectorized=False),
+    "reordered_lb": dict(order="deg_desc", two_pass=True, trim=True, ranges="descending", vectorized=False),
+    "reordered_lb_vec": dict(order="deg_desc", two_pass=True, trim=True, ranges="descending", vectorized=True),
 }
 
 
@@ -58,19 +63,47 @@ def _sized(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df
 
 
-def top_down_step(arcs: DataFrame, degrees: DataFrame, frontier: DataFrame, before: DataFrame, n_frontier: int, depth: int) -> DataFrame:
+def top_down_step(arcs: DataFrame, degrees: DataFrame, frontier: DataFrame, before: DataFrame, n_frontier: int, depth: int, balance: str | None = None, workers: int = 8) -> DataFrame:
     """Neighbours of the frontier that are not in the last two levels, each with its best parent.
 
     In an undirected graph a neighbour of level k lies in level k - 1, k or k + 1, so the whole
-    visited set need not be joined.
+    visited set need not be joined.  ``balance`` deals the frontier's arcs to ``workers`` tasks
+    first: by runs of vertices (``static``) or by slices of every list (``sliced``).
     """
     f = frontier.select(F.col("v").alias("src"), F.col("deg").alias("src_deg"))
-    reached = arcs.join(_sized(f, n_frontier), "src").groupBy(F.col("dst").alias("v")).agg(F.max(F.struct("src_deg", (-F.col("src")).alias("k"))).alias("p"))
+    if balance is None:
+        looked_at = arcs.join(_sized(f, n_frontier), "src")
+    else:
+        looked_at = dealt_arcs(arcs, frontier, n_frontier, balance, workers)
+    reached = looked_at.groupBy(F.col("dst").alias("v")).agg(F.max(F.struct("src_deg", (-F.col("src")).alias("k"))).alias("p"))
     known = before.select("v").union(frontier.select("v"))
     fresh = reached.join(known, "v", "left_anti").join(degrees, "v")
     return fresh.select("v", (-F.col("p.k")).alias("parent"), F.lit(depth).alias("depth"), "deg", F.lit(None).cast("long").alias("place"))
 
 
+def dealt_arcs(arcs: DataFrame, frontier: DataFrame, n_frontier: int, balance: str, workers: int) -> DataFrame:
+    """The frontier's arcs ``src, src_deg, dst, slot``, those of slot k in task k.
+
+    ``static``: the frontier by id in equal runs of vertices, a run a task.  ``sliced``: every list
+    by id in equal slices, slice k to task k, what is left of the j-th list to task j mod t."""
+    placed = global_rank(frontier.select("v", "deg"), ["v"], "j").select(F.col("v").alias("src"), F.col("deg").alias("src_deg"), "j")
+    mine = arcs.select("src", "dst").join(_sized(placed, n_frontier), "src")
+    if balance == "static":
+        slot = F.expr(f"j * {workers} div {n_frontier}")
+    else:
+        mine = place_in_lists(mine, ["src_deg", "j"])
+        q = F.expr(f"src_deg div {workers}")
+        slot = F.when((q > 0) & (F.col("i") < q * workers), F.expr(f"i div greatest(src_deg div {workers}, 1)")).otherwise(F.col("j") % workers)
+    return mine.withColumn("slot", slot.cast("int")).repartitionById(workers, F.col("slot")).select("src", "src_deg", "dst", "slot")
+
+
+def place_in_lists(arcs: DataFrame, keep: list[str]) -> DataFrame:
+    """Adds ``i``: place of ``dst`` in the list of ``src`` by id.  Lists are numbered through one range sort, so a hub's is not one task's."""
+    ranked = global_rank(arcs.select("src", "dst", *keep), ["src", "dst"], "at")
+    first = ranked.groupBy("src").agg(F.min("at").alias("first"))
+    return ranked.join(first, "src").withColumn("i", F.col("at") - F.col("first")).drop("at", "first")
+
+
 def _best(hits: DataFrame, depth: int) -> DataFrame:
     found = hits.groupBy(F.col("src").alias("v")).agg(F.max(F.struct("dst_deg", (-F.col("dst")).alias("k"))).alias("p"), F.min("place").alias("place"), F.first("deg").alias("deg"))
     return found.select("v", (-F.col("p.k")).alias("parent"), F.lit(depth).alias("depth"), "deg", "place")
@@ -124,53 +157,165 @@ def bottom_up_step(lists: DataFrame, unvisited: DataFrame, frontier: DataFrame,
 def bfs(
     graph: Graph, source: int, mode: str = "hybrid", alpha: float = ALPHA, beta: float = BETA, guard: bool = True, order: str = "deg_desc",
     two_pass: bool = True, trim: bool = True, ranges: str = "descending", workers: int | None = None, lam: int | None = None, block: int = 512,
-    max_depth: int | None = None, target: int | None = None,
+    max_depth: int | None = None, target: int | None = None, vectorized: bool | None = None, phase_plan: tuple[str, str, str] | None = None,
 ) -> BfsRun:
     """Breadth-first tree of ``source``: ``v, parent, depth`` of every reached vertex.
 
     The parent is the frontier neighbour of highest degree (least id on ties) whatever the
     direction, so every mode and option returns the same rows.  An isolated source reaches itself.
+
+    ``vectorized`` steps scan lists stored by range, with visited and frontier sets as packed words
+    (:mod:`levelgraph.bfs.kernels`); they need lists by decreasing degree and labels from 0 to
+    ``MAX_LABELS``, and are the default where both hold.  The other steps are joins.  ``phase_plan``
+    names the kernel of each phase: ``static`` or ``sliced`` top-down steps before and after a
+    ``full`` (descending ranges, two passes, trimmed) or ``plain`` (equal ranges) bottom-up phase.
     """
     spark = graph.spark
-    degrees, lists = graph.degrees, lists_in_order(graph, order)
-    two_pass = two_pass and order == "deg_desc"  # a pass over top neighbours needs lists that start with the best one
-    total = degrees.agg(F.count("*").alias("n"), F.coalesce(F.sum("deg"), F.lit(0)).alias("m"), F.coalesce(F.max("v"), F.lit(0)).alias("top")).first()
-    own = degrees.where(F.col("v") == source).first()
+    if phase_plan is not None:
+        full = phase_plan[1] == "full"
+        two_pass, trim, ranges = full, full, "descending" if full else "equal"
+    total = graph.totals
+    n_labels = total["top"] + 1
+    fits = order == "deg_desc" and 0 <= total["least"] and n_labels <= bw.MAX_LABELS and source >= 0
+    vectorized = fits if vectorized is None else vectorized and fits
     workers = workers or spark.sparkContext.defaultParallelism
-    cuts = label_ranges(total["top"] + 1, max(1, (lam or default_lambda(total["n"])) * workers), block, ranges)
+    s = max(1, (lam or default_lambda(total["n"])) * workers)
+    own = graph.degree_of(source)
+    state = (_WordState if vectorized else _TableState)(graph, source, own, total, order, two_pass and order == "deg_desc", trim, (s, block, ranges), workers, phase_plan)
     began = time.perf_counter()
-    level = spark.createDataFrame([(source, source, 0, own["deg"] if own else 0, None)], LEVEL + ", place long")
-    empty = level.limit(0)
-    every, before, depth, now, left = level, empty, 0, "top_down", False
-    n_f, m_f, m_u, n_prev = 1, own["deg"] if own else 0, total["m"] - (own["deg"] if own else 0), 0
-    run = BfsRun(level.select("v", "parent", "depth"))
+    depth, now, left = 0, "top_down", False
+    n_f, m_f, m_u, n_prev = 1, own, total["m"] - own, 0
+    run = BfsRun(state.every().select("v", "parent", "depth"))
     while n_f and m_f and (max_depth is None or depth < max_depth):
         turn = choose(now, left, StepState(n_f, m_f, m_u, n_prev, total["n"]), alpha, beta, guard) if mode == "hybrid" else mode
         left = left or (now == "bottom_up" and turn == "top_down")
-        step_began, live_size, top_hits = time.perf_counter(), None, None
-        if turn == "bottom_up":
-            unvisited = degrees.join(every.select("v"), "v", "left_anti")
-            live = _live(unvisited, cuts) if trim else None
-            live_size = sum(b - a + 1 for a, b in live) if trim else None
-            fresh, top_hits = bottom_up_step(lists, unvisited, level, n_f, depth + 1, two_pass, live)
-        else:
-            fresh = top_down_step(graph.arcs, degrees, level, before, n_f, depth + 1)
-        fresh = materialize(fresh, "bfs_level")
-        got = fresh.agg(F.count("*").alias("n"), F.coalesce(F.sum("deg"), F.lit(0)).alias("m"), F.coalesce(F.sum(F.col("place") + 1), F.lit(0)).alias("probes"), F.coalesce(F.max((F.col("v") == F.lit(target if target is not None else -1)).cast("int")), F.lit(0)).alias("hit")).first()
+        phase = 2 if turn == "bottom_up" else 3 if left else 1
+        step_began = time.perf_counter()
+        got = state.advance(turn, phase, depth + 1, n_f, target)
         inspected = m_f if turn == "top_down" else got["probes"] + m_u - got["m"]
         run.steps.append(
-            dict(step=depth, direction=turn, phase=2 if turn == "bottom_up" else 3 if left else 1, frontier_vertices=n_f, frontier_edges=m_f, unexplored_edges=m_u, inspected_edges=inspected, discovered=got["n"], top_hits=top_hits, live_range_size=live_size, seconds=time.perf_counter() - step_began)
+            dict(step=depth, direction=turn, phase=phase, frontier_vertices=n_f, frontier_edges=m_f, unexplored_edges=m_u, inspected_edges=inspected, discovered=got["n"], top_hits=got["top_hits"] if turn == "bottom_up" and state.two_pass else None, live_range_size=got["live"], seconds=time.perf_counter() - step_began)
         )
-        before, level, every = level, fresh, every.union(fresh)
         n_prev, n_f, m_f, m_u, now = n_f, got["n"], got["m"], m_u - got["m"], turn
         depth += 1
         if got["hit"]:
             break
     run.seconds = time.perf_counter() - began
-    run.result = every.select("v", "parent", "depth")
+    run.result = state.every().select("v", "parent", "depth")
     return run
 
 
+def _counted(target: int | None) -> list[Column]:
+    return [
+        F.count("*").alias("n"), F.coalesce(F.sum("deg"), F.lit(0)).alias("m"), F.coalesce(F.sum(F.col("place") + 1), F.lit(0)).alias("probes"),
+        F.coalesce(F.sum((F.col("place") == 0).cast("long")), F.lit(0)).alias("top_hits"),
+        F.coalesce(F.max((F.col("v") == F.lit(target if target is not None else -1)).cast("int")), F.lit(0)).alias("hit"),
+    ]
+
+
+class _TableState:
+    """Levels as tables; steps are joins, which have no bound on the labels."""
+
+    def __init__(self, graph, source, own, total, order, two_pass, trim, cuts, workers, phase_plan):
+        self.graph, self.two_pass, self.trim, self.workers, self.phase_plan = graph, two_pass, trim, workers, phase_plan
+        self.lists = lists_in_order(graph, order)
+        self.ranges = label_ranges(total["top"] + 1, *cuts)
+        self.level = graph.spark.createDataFrame([(source, source, 0, own, None)], LEVEL + ", place long")
+        self.before = self.level.limit(0)
+        self.levels = [self.level]
+        self.unvisited = None
+
+    def every(self) -> DataFrame:
+        out = self.levels[0]
+        for part in self.levels[1:]:
+            out = out.union(part)
+        return out
+
+    def advance(self, turn: str, phase: int, depth: int, n_f: int, target: int | None) -> dict:
+        live = None
+        if turn == "bottom_up":
+            # written once, then only made smaller by each step's finds
+            waiting = self.graph.degrees.join(self.every().select("v"), "v", "left_anti") if self.unvisited is None else self.unvisited.join(self.level.select("v"), "v", "left_anti")
+            waiting = materialize(waiting.select("v", "deg"), "unvisited")
+            discard(self.unvisited)
+            self.unvisited = waiting
+            live = _live(waiting, self.ranges) if self.trim else None
+            fresh, _ = bottom_up_step(self.lists, waiting, self.level, n_f, depth, self.two_pass, live)
+        else:
+            balance = self.phase_plan[phase - 1] if self.phase_plan else None
+            fresh = top_down_step(self.graph.arcs, self.graph.degrees, self.level, self.before, n_f, depth, balance, self.workers)
+        fresh = materialize(fresh, "bfs_level")
+        got = fresh.agg(*_counted(target)).first().asDict()
+        self.before, self.level = self.level, fresh
+        self.levels.append(fresh)
+        return got | {"live": sum(b - a + 1 for a, b in live) if live is not None else None}
+
+
+class _WordState:
+    """Visited and frontier sets as packed words; levels are written, their words come back with the counters."""
+
+    def __init__(self, graph, source, own, total, order, two_pass, trim, cuts, workers, phase_plan):
+        self.graph, self.two_pass, self.trim = graph, two_pass, trim
+        self.n_labels = max(total["top"], source) + 1
+        self.lists, self.ranges = kernels.range_lists(graph, total["top"] + 1, *cuts)
+        self.chunked = total["max"] > kernels.MAX_LIST
+        self.bytes = 8 * total["m"]
+        # labels without a list never wait for a parent
+        self.visited = ~graph.packed(self.n_labels)
+        self.frontier = bw.pack(np.array([source]), self.n_labels)
+        self.visited = bw.merge(self.visited, self.frontier)
+        self.levels = [graph.spark.createDataFrame([(source, source, 0)], "v long, parent long, depth int")]
+
+    def every(self) -> DataFrame:
+        out = self.levels[0]
+        for part in self.levels[1:]:
+            out = out.union(part.select("v", "parent", "depth"))
+        return out
+
+    def _files(self, stretches: list[tuple[int, int, int]]) -> DataFrame:
+        """Lists of the ranges that hold one of the stretches, read from their first label to their last."""
+        rids = [rid for rid, _, _ in stretches]
+        near = _within("v", [(a, b) for _, a, b in stretches])
+        return self.lists.where(F.col("rid").isin(rids) & near) if len(rids) < len(self.ranges) else self.lists.where(near)
+
+    def _write(self, fresh: DataFrame, depth: int, target: int | None) -> dict:
+        fresh = materialize(fresh.withColumn("depth", F.lit(depth)), "bfs_level")
+        rows = bw.cells(fresh, "v", *_counted(target)).collect()  # at most labels / 32768 rows of 4 KB
+        self.levels.append(fresh)
+        got = {k: sum(r[k] for r in rows) for k in ("n", "m", "probes", "top_hits", "hit")}
+        found = bw.from_cells(rows, self.n_labels)
+        self.visited = bw.merge(self.visited, found)
+        return got | {"found": found}
+
+    def advance(self, turn: str, phase: int, depth: int, n_f: int, target: int | None) -> dict:
+        sc = self.graph.spark.sparkContext
+        live = None
+        if turn == "bottom_up":
+            stretches = bw.live_stretches(self.visited, self.ranges) if self.trim else [(rid, lo, hi - 1) for rid, lo, hi in self.ranges]
+            live = sum(b - a + 1 for _, a, b in stretches) if self.trim else None
+            step = kernels.bottom_up
+        else:
+            stretches = bw.live_stretches(~self.frontier, self.ranges)
+            step = kernels.top_down
+        seen, now = sc.broadcast(self.visited), sc.broadcast(self.frontier)
+        if turn == "bottom_up" and self.two_pass and self.bytes > kernels.SPLIT_BYTES:
+            first = self._write(kernels.top_pass(self._files(stretches), seen, now), depth, target)
+            seen.unpersist()
+            seen, stretches = sc.broadcast(self.visited), bw.live_stretches(self.visited, self.ranges)
+            second = self._write(self._best(step(self._files(stretches), seen, now)), depth, target)
+            got = {k: first[k] + second[k] for k in ("n", "m", "probes", "top_hits", "hit")} | {"found": bw.merge(first["found"], second["found"])}
+        else:
+            fresh = step(self._files(stretches), seen, now)
+            got = self._write(self._best(fresh) if turn == "bottom_up" else fresh, depth, target)
+        seen.unpersist()
+        now.unpersist()
+        self.frontier = got.pop("found")
+        return got | {"live": live}
+
+    def _best(self, found: DataFrame) -> DataFrame:
+        return kernels.least_place(found) if self.chunked else found
+
+
 def bfs_many(graph: Graph, sources: list[int], max_depth: int | None = None) -> DataFrame:
     """Depths from many sources in one loop: ``source, v, depth``.  Visited state is keyed by source."""
     spark = graph.spark

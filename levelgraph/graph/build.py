@@ -7,6 +7,7 @@ from functools import cached_property
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from levelgraph.bitmap import words as bw
 from levelgraph.graph.rank import global_rank
 from levelgraph.runtime import materialize
 
@@ -74,6 +75,23 @@ class Graph:
         place = F.row_number().over(Window.partitionBy("src").orderBy(F.desc("dst_deg"), "dst")) - 1
         return materialize(both.withColumn("place", place.cast("long")).select("src", "dst", "deg", "dst_deg", "place"), f"{self.name}_lists")
 
+    @cached_property
+    def totals(self) -> dict:
+        """``n`` vertices with an arc, ``m`` arcs, greatest degree ``max``, ``least`` and ``top`` id."""
+        d = self.degrees
+        zero = lambda c: F.coalesce(c, F.lit(0))
+        return d.agg(F.count("*").alias("n"), zero(F.sum("deg")).alias("m"), zero(F.max("deg")).alias("max"), zero(F.min("v")).alias("least"), zero(F.max("v")).alias("top")).first().asDict()
+
+    def degree_of(self, v: int) -> int:
+        row = self.degrees.where(F.col("v") == v).select("deg").first()
+        return row["deg"] if row else 0
+
+    def packed(self, n_labels: int):
+        """The vertices that have an arc as packed words (checked by the caller to be few enough)."""
+        if "_packed" not in self.__dict__:
+            self.__dict__["_packed"] = bw.cells(self.degrees.select("v")).collect()  # at most labels / 32768 rows of 4 KB
+        return bw.from_cells(self.__dict__["_packed"], n_labels)
+
     def isolated(self) -> DataFrame:
         return self.vertices.select("v").join(self.degrees.select("v"), "v", "left_anti")
 

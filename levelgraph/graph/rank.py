@@ -13,7 +13,8 @@ def global_rank(df: DataFrame, order: list[Column | str], name: str = "rank", ta
 
     Rows are range-partitioned and sorted; each partition numbers its rows, and the sizes of the
     partitions before it (one small row each) shift them.  The sorted rows are written before the
-    sizes are counted, so a second sampling of the ranges can not disturb the numbering.
+    sizes are counted, so a second sampling of the ranges can not disturb the numbering.  The result
+    reads the written rows, and :func:`ranked_rows` tells their number.
     """
     part = df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_at", F.monotonically_increasing_id())
     part = materialize(part, tag)
@@ -28,4 +29,11 @@ def global_rank(df: DataFrame, order: list[Column | str], name: str = "rank", ta
         part = part.withColumn("p", F.shiftright("_at", 33)).join(F.broadcast(table), "p").drop("p")
         shift = F.col("off")
     low = F.col("_at").bitwiseAND(F.lit((1 << 33) - 1))
-    return part.withColumn(name, shift + low).drop("_at", "off")
+    out = part.withColumn(name, shift + low).drop("_at", "off")
+    out._levelgraph_rows = total
+    return out
+
+
+def ranked_rows(ranked: DataFrame) -> int:
+    """Rows of a result of :func:`global_rank`, known from its numbering."""
+    return ranked._levelgraph_rows

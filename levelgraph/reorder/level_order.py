@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from levelgraph.graph.build import Graph
-from levelgraph.graph.rank import global_rank
+from levelgraph.graph.rank import global_rank, ranked_rows
 from levelgraph.reorder.components import star_contraction
 from levelgraph.runtime import discard, materialize
 
@@ -47,7 +47,9 @@ def _farthest(arcs: DataFrame, seeds: DataFrame, degrees: DataFrame) -> tuple[Da
 def _seeds(arcs: DataFrame, placed: DataFrame, degrees: DataFrame, start: str) -> DataFrame:
     """``comp, seed, by`` where ``by`` orders the components."""
     least = placed.groupBy("comp").agg(F.min(F.struct("deg", "v")).alias("by"), F.count("*").alias("size"))
-    seeds = materialize(least.select("comp", F.col("by.v").alias("seed"), "by", "size"), "seeds")
+    seeds = least.select("comp", F.col("by.v").alias("seed"), "by", "size")
+    if start != "min_degree":
+        seeds = materialize(seeds, "seeds")
     if start == "pseudo_peripheral":
         now = seeds.select("comp", "seed")
         ecc, ends = _farthest(arcs, now, degrees)
@@ -86,7 +88,7 @@ def visit_order(arcs: DataFrame, degrees: DataFrame, start: str = "min_degree",
     """``visit, v, comp, level``: place of each vertex in the sequential visit of all components."""
     placed = materialize(component_of(arcs, degrees), "placed")
     seeds = materialize(_seeds(arcs, placed, degrees, start), "seeds")
-    ranked = materialize(global_rank(seeds, ["by.deg", "by.v"], "comp_rank").select("comp", "seed", "size", "comp_rank"), "comp_rank")
+    ranked = global_rank(seeds, ["by.deg", "by.v"], "comp_rank").select("comp", "seed", "size", "comp_rank")
     deg = degrees.select("v", "deg")
 
     small = ranked.where(F.col("size") <= small_cap)
@@ -97,20 +99,23 @@ def visit_order(arcs: DataFrame, degrees: DataFrame, start: str = "min_degree",
 
     large = ranked.where(F.col("size") > small_cap)
     level = materialize(large.select("comp", F.col("seed").alias("v"), F.lit(0).alias("level"), F.col("comp_rank").alias("pos")), "level")
-    before, depth = level.limit(0), 0
-    while not level.isEmpty():
+    before, depth, n = level.limit(0), 0, level.count()
+    while n:
         visited.append(level)
         known = before.select("v").union(level.select("v"))
         claimed = level.join(arcs, F.col("v") == F.col("src")).groupBy(F.col("dst").alias("v")).agg(F.min(F.struct("pos", "comp")).alias("p"))
         fresh = claimed.join(known, "v", "left_anti").join(deg, "v")
         depth += 1
-        before, ranked_level = level, global_rank(fresh.select("v", F.col("p.comp").alias("comp"), F.col("p.pos").alias("at"), "deg"), ["at", "deg", "v"], "pos")
-        level = materialize(ranked_level.select("comp", "v", F.lit(depth).alias("level"), "pos"), "level")
+        # the ranked rows are on disk already, and their number is the test for the end
+        ranked_level = global_rank(fresh.select("v", F.col("p.comp").alias("comp"), F.col("p.pos").alias("at"), "deg"), ["at", "deg", "v"], "pos")
+        before, level, n = level, ranked_level.select("comp", "v", F.lit(depth).alias("level"), "pos"), ranked_rows(ranked_level)
     every = visited[0]
     for part in visited[1:]:
         every = every.union(part.select("comp", "v", "level", "pos"))
     every = every.join(ranked.select("comp", "comp_rank"), "comp")
-    out = global_rank(every, ["comp_rank", "level", "pos"], "visit").select("visit", "v", "comp", "level")
+    ranked_visit = global_rank(every, ["comp_rank", "level", "pos"], "visit")
+    out = ranked_visit.select("visit", "v", "comp", "level")
+    out._levelgraph_rows = ranked_rows(ranked_visit)
     discard(placed)
     return out
 
@@ -125,8 +130,8 @@ def _with_isolated(graph: Graph, labelled: DataFrame, isolated: str) -> DataFram
 
 def reverse_level_order(graph: Graph, start: str = "min_degree", reverse: bool = True, isolated: str = "append", small_cap: int = SMALL_CAP) -> DataFrame:
     """Permutation ``label, v, comp, level``; isolated vertices come last or are left out."""
-    visit = materialize(visit_order(graph.arcs, graph.degrees, start, small_cap), "visit")
-    n = visit.count()
+    visit = visit_order(graph.arcs, graph.degrees, start, small_cap)
+    n = ranked_rows(visit)
     label = F.lit(n - 1) - F.col("visit") if reverse else F.col("visit")
     return _with_isolated(graph, visit.select(label.alias("label"), "v", "comp", "level"), isolated)
 
