@@ -68,8 +68,16 @@ def sliced_slots(frontier: DataFrame, workers: int) -> DataFrame:
 
 
 def imbalance(slots: DataFrame, workers: int) -> DataFrame:
-    per = slots.groupBy("step").agg(F.max("edges").alias("max_edges"), F.sum("edges").alias("total"), F.count("*").alias("busy"))
-    return per.select("step", "max_edges", F.round(F.col("total") / workers, 6).alias("mean_edges"), (F.lit(workers) - F.col("busy")).alias("idle"))
+    """Largest and mean load, idle workers and coefficient of variation over all ``workers``, per step."""
+    per = slots.groupBy("step").agg(F.max("edges").alias("max_edges"), F.sum("edges").alias("total"), F.count("*").alias("busy"), F.sum(F.col("edges") * F.col("edges")).alias("squares"))
+    mean = F.col("total") / workers
+    spread = F.sqrt(F.greatest(F.col("squares") / workers - mean * mean, F.lit(0.0))) / mean
+    return per.select("step", "max_edges", F.round(mean, 6).alias("mean_edges"), (F.lit(workers) - F.col("busy")).alias("idle"), F.round(spread, 6).alias("variation"))
+
+
+def lambda_table(spark: SparkSession) -> DataFrame:
+    """Ranges per worker that :func:`default_lambda` gives by scale."""
+    return spark.createDataFrame([(k, default_lambda(1 << k)) for k in range(20, 33)], "scale long, lam long")
 
 
 def range_work(graph: Graph, depths: DataFrame, ranges: DataFrame) -> DataFrame:
@@ -80,13 +88,17 @@ def range_work(graph: Graph, depths: DataFrame, ranges: DataFrame) -> DataFrame:
     return steps.groupBy("step", "rid").agg(F.count("*").alias("unvisited"), F.sum("deg").alias("degree_sum"))
 
 
-def live_range_size(n_labels_vertices: DataFrame, depths: DataFrame, ranges: DataFrame) -> DataFrame:
-    """Sum over ranges of the stretch from the first to the last unvisited label, after each step."""
+def live_range_size(n_labels_vertices: DataFrame, depths: DataFrame, ranges: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
+    """Sum over ranges of the stretch from the first to the last unvisited label, after each step; for each of ``keys`` of the depths."""
     deep = depths.agg(F.max("depth").alias("d")).first()["d"] or 0
-    rows = n_labels_vertices.join(depths.select("v", "depth"), "v", "left").select("v", F.coalesce("depth", F.lit(deep + 1)).alias("depth"))
-    spans = with_range(rows, ranges).where("depth > 0").select("rid", "v", F.explode(F.sequence(F.lit(0), F.least(F.col("depth") - 1, F.lit(deep)))).alias("step"))
-    spans = spans.groupBy("step", "rid").agg((F.max("v") - F.min("v") + 1).alias("live"))
-    return spans.groupBy("step").agg(F.sum("live").alias("live_size"))
+    if keys:
+        # a row for each label and source, as the state of that many searches is
+        each = [r.asDict() for r in depths.select(*keys).distinct().collect()]
+        n_labels_vertices = n_labels_vertices.select("v", F.explode(F.array(*[F.struct(*[F.lit(e[k]).alias(k) for k in keys]) for e in each])).alias("_k")).select("v", "_k.*")
+    rows = n_labels_vertices.join(depths.select(*keys, "v", "depth"), [*keys, "v"], "left").select(*keys, "v", F.coalesce("depth", F.lit(deep + 1)).alias("depth"))
+    spans = with_range(rows, ranges).where("depth > 0").select(*keys, "rid", "v", F.explode(F.sequence(F.lit(0), F.least(F.col("depth") - 1, F.lit(deep)))).alias("step"))
+    spans = spans.groupBy(*keys, "step", "rid").agg((F.max("v") - F.min("v") + 1).alias("live"))
+    return spans.groupBy(*keys, "step").agg(F.sum("live").alias("live_size"))
 
 
 def simulate_pulling(work: list[float], workers: int) -> tuple[float, float]:

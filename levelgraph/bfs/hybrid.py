@@ -177,7 +177,7 @@ def bfs(
     total = graph.totals
     n_labels = total["top"] + 1
     fits = order == "deg_desc" and 0 <= total["least"] and n_labels <= bw.MAX_LABELS and source >= 0
-    vectorized = fits if vectorized is None else vectorized and fits
+    vectorized = fits and phase_plan is None if vectorized is None else vectorized and fits
     workers = workers or spark.sparkContext.defaultParallelism
     s = max(1, (lam or default_lambda(total["n"])) * workers)
     own = graph.degree_of(source)
@@ -205,6 +205,15 @@ def bfs(
     return run
 
 
+def prepare(graph: Graph, workers: int | None = None, lam: int | None = None, block: int = 512, ranges: str = "descending") -> None:
+    """Writes what a search reads, so that the first one does not pay for it."""
+    graph.ranked_arcs.count()
+    total = graph.totals
+    if 0 <= total["least"] and total["top"] < bw.MAX_LABELS:
+        workers = workers or graph.spark.sparkContext.defaultParallelism
+        kernels.range_lists(graph, total["top"] + 1, max(1, (lam or default_lambda(total["n"])) * workers), block, ranges)
+
+
 def _counted(target: int | None) -> list[Column]:
     return [
         F.count("*").alias("n"), F.coalesce(F.sum("deg"), F.lit(0)).alias("m"), F.coalesce(F.sum(F.col("place") + 1), F.lit(0)).alias("probes"),

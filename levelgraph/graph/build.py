@@ -92,6 +92,11 @@ class Graph:
             self.__dict__["_packed"] = bw.cells(self.degrees.select("v")).collect()  # at most labels / 32768 rows of 4 KB
         return bw.from_cells(self.__dict__["_packed"], n_labels)
 
+    def raw_degrees(self) -> DataFrame:
+        """``v, deg, raw_deg`` of every vertex that has an arc: distinct neighbours, and ends of raw edges (a loop has two)."""
+        ends = self.raw_edges.select(F.explode(F.array("src", "dst")).alias("v")).groupBy("v").agg(F.count("*").alias("raw_deg"))
+        return self.degrees.join(ends, "v").select("v", "deg", "raw_deg")
+
     def isolated(self) -> DataFrame:
         return self.vertices.select("v").join(self.degrees.select("v"), "v", "left_anti")
 

@@ -72,9 +72,11 @@ def turn_chain(spark: SparkSession, sf: str) -> Graph:
 
 
 def doc_copies(spark: SparkSession, sf: str) -> Graph:
-    docs = _table(spark, sf, "documents").select("doc_id", F.md5(F.col("text").cast("binary")).alias("h"))
-    raw = docs.select(F.col("doc_id").alias("src"), "h").join(docs.select(F.col("doc_id").alias("dst"), "h"), "h").where("src < dst")
-    return Graph(raw.select("src", "dst"), _ids((docs, "doc_id")), "doc_copies")
+    """Documents of equal text, each linked to the least id among them: a group of n copies gives n - 1 edges, not all pairs."""
+    docs = _table(spark, sf, "documents").select("doc_id", F.md5(F.col("text").cast("binary")).alias("h")).where("h is not null")
+    least = docs.groupBy("h").agg(F.min("doc_id").alias("src"), F.count("*").alias("n")).where("n > 1")
+    raw = docs.join(least, "h").where("doc_id <> src").select("src", F.col("doc_id").alias("dst"))
+    return Graph(raw, _ids((_table(spark, sf, "documents"), "doc_id")), "doc_copies")
 
 
 def page_anchor(spark: SparkSession, sf: str) -> Graph:
@@ -124,7 +126,9 @@ def bench_overlap(spark: SparkSession, sf: str, pass_bytes: int = 32_000_000) ->
 GRAPHS: dict[str, Callable[[SparkSession, str], Graph]] = {
     "purchase": purchase, "returned_purchase": returned_purchase, "supply": supply, "customer_orders": customer_orders, "bulk_returns": bulk_returns,
     "user_flow": user_flow, "geo_tree": geo_tree, "turn_chain": turn_chain, "doc_copies": doc_copies, "page_anchor": page_anchor, "vector_sim": vector_sim, "bench_overlap": bench_overlap,
-    "kron8": lambda spark, sf: kronecker(spark, 8), "kron10": lambda spark, sf: kronecker(spark, 10),
+    "kron8": lambda spark, sf: kronecker(spark, 8), "kron10": lambda spark, sf: kronecker(spark, 10), "kron12": lambda spark, sf: kronecker(spark, 12), "kron14": lambda spark, sf: kronecker(spark, 14),
+    "uniform10": lambda spark, sf: kronecker(spark, 10, probs=(0.25, 0.25, 0.25, 0.25)),
+    "shuffled10": lambda spark, sf: kronecker(spark, 10, shuffle_labels=True),
     "kron_orders": lambda spark, sf: Graph(kronecker_from(_table(spark, sf, "orders"), "o_orderkey", 10).select("src", "dst"), spark.range(1024).withColumnRenamed("id", "v"), "kron_orders"),
 }
 

@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from levelgraph.balance.ranges import with_range
 from levelgraph.bfs.hybrid import lists_in_order
 from levelgraph.graph.build import Graph
 from levelgraph.graph.rank import global_rank
@@ -112,6 +113,45 @@ def line_misses(trace: DataFrame, capacity: int, shards: int = 1) -> DataFrame:
     return dealt.mapInPandas(replay, "references long, misses long").agg(F.sum("references").alias("references"), F.sum("misses").alias("misses"))
 
 
+def probe_traces(graph: Graph, depths: DataFrame, steps: tuple[int, ...], line_bits: int = 64) -> DataFrame:
+    """Lines that bottom-up steps of several searches probe: ``source, step, v, i, line`` from depths ``source, v, depth``."""
+    lists = graph.ranked_arcs
+    sources = [r["source"] for r in depths.select("source").distinct().collect()]  # the sampled sources
+    if not sources:
+        return graph.degrees.limit(0).select(*[F.lit(0).cast("long").alias(c) for c in ("source", "step", "v", "i", "line")])
+    here, there = depths.select("source", F.col("v").alias("src"), F.col("depth").alias("ds")), depths.select("source", F.col("v").alias("dst"), F.col("depth").alias("dd"))
+    stop = lists.join(here, "src").join(there, ["source", "dst"]).where("ds = dd + 1").groupBy("source", F.col("src").alias("v")).agg(F.min("place").alias("stop"))
+    each = graph.degrees.select("v", F.explode(F.array(*map(F.lit, sources))).alias("source")).join(depths, ["source", "v"], "left")
+    each = each.select("source", "v", "depth", F.explode(F.array(*[F.lit(k).cast("long") for k in steps])).alias("step")).where("depth is null or depth > step").join(stop, ["source", "v"], "left")
+    probes = each.join(lists.select(F.col("src").alias("v"), "dst", "place"), "v").where("depth is null or depth <> step + 1 or place <= stop")
+    own = each.select("source", "step", "v", F.lit(0).cast("long").alias("i"), F.expr(f"v div {line_bits}").alias("line"))
+    return own.union(probes.select("source", "step", "v", F.col("place") + 1, F.expr(f"dst div {line_bits}")))
+
+
+def switches_by_source(trace: DataFrame) -> DataFrame:
+    """``source, references, switches`` of a cache of one line that each step starts empty."""
+    from pyspark.sql import Window
+
+    keys = ["source", "step", "v"]
+    inner = trace.withColumn("was", F.lag("line").over(Window.partitionBy(*keys).orderBy("i")))
+    per = inner.groupBy(*keys).agg(F.count("*").alias("refs"), F.sum((F.col("was") != F.col("line")).cast("long")).alias("inner"), F.min_by("line", "i").alias("first"), F.max_by("line", "i").alias("last"))
+    ranked = global_rank(per, keys, "at")
+    before = ranked.select((F.col("at") + 1).alias("at"), "source", "step", F.col("last").alias("before"))
+    rows = ranked.join(before, ["at", "source", "step"], "left")
+    new = F.coalesce("inner", F.lit(0)) + (F.isnull("before") | (F.col("before") != F.col("first"))).cast("long")
+    return rows.groupBy("source").agg(F.sum("refs").alias("references"), F.sum(new).alias("switches"))
+
+
+def range_inspection(graph: Graph, depths: DataFrame, ranges: DataFrame) -> DataFrame:
+    """Unvisited vertices, their degree sum and the arcs a bottom-up step looks at, by step and range."""
+    deep = depths.agg(F.max("depth").alias("d")).first()["d"] or 0
+    hits = first_hits(graph, depths, "deg_desc").select(F.col("src").alias("v"), (F.col("place") + 1).alias("probes"))
+    rows = graph.degrees.join(depths.select("v", "depth"), "v", "left").join(hits, "v", "left").select("v", "deg", F.coalesce("depth", F.lit(deep + 2)).alias("depth"), "probes")
+    steps = with_range(rows, ranges).where("depth > 0").select("rid", "deg", "depth", "probes", F.explode(F.sequence(F.lit(0), F.least(F.col("depth") - 1, F.lit(deep)))).alias("step"))
+    looked_at = F.when(F.col("depth") == F.col("step") + 1, F.coalesce("probes", "deg")).otherwise(F.col("deg"))
+    return steps.groupBy("step", "rid").agg(F.count("*").alias("unvisited"), F.sum("deg").alias("degree_sum"), F.sum(looked_at).alias("inspected_edges"))
+
+
 def teps_edges(graph: Graph, result: DataFrame, source: int) -> DataFrame:
     """Raw and simple edges inside the reached component."""
     r = result.select("v")

@@ -11,7 +11,7 @@ RAW = {
     "user_flow": "select src, dst from (select user_id as src, lead(user_id) over (order by ts, event_id) as dst from events) where dst is not null",
     "geo_tree": "select 4 * n_nationkey + 1 as src, 4 * n_regionkey as dst from nation union all select 4 * c_custkey + 2, 4 * c_nationkey + 1 from customer union all select 4 * s_suppkey + 3, 4 * s_nationkey + 1 from supplier",
     "turn_chain": "select 100 * a.conv_id + a.turn as src, 100 * a.conv_id + a.turn + 1 as dst from conversations a join conversations b on a.conv_id = b.conv_id and b.turn = a.turn + 1",
-    "doc_copies": "select a.doc_id as src, b.doc_id as dst from documents a join documents b on a.text = b.text and a.doc_id < b.doc_id",
+    "doc_copies": "select first as src, doc_id as dst from (select doc_id, min(doc_id) over (partition by text) as first from documents where text is not null) where first <> doc_id",
     "page_anchor": """select 2 * page_id as src, 2 * rk + 1 as dst from (select page_id, unnest(regexp_extract_all(html, 'href="(/[^"]*)"', 1)) as path from pages) join (select path, row_number() over (order by encode(path)) - 1 as rk from (select distinct unnest(regexp_extract_all(html, 'href="(/[^"]*)"', 1)) as path from pages)) using (path)""",
 }
 RAW["vector_sim"] = "select a.vec_id as src, b.vec_id as dst from embeddings a join embeddings b on a.vec_id < b.vec_id where list_cosine_similarity(a.embedding::double[], b.embedding::double[]) > 0.45"
@@ -39,7 +39,15 @@ def _kron(scale: int, index: str) -> str:
     return f"select sum(case when r >= 0.76 then 1::bigint << l else 0 end)::bigint as src, sum(case when (r >= 0.57 and r < 0.76) or r >= 0.95 then 1::bigint << l else 0 end)::bigint as dst from ({draws}) group by e"
 
 
-for _s in (8, 10):
+def _kron_other(scale: int, a: float, ab: float, abc: float, index: str) -> str:
+    draws = f"select e, l, ('0x' || substr(md5('7:' || e || ':' || l), 1, 8))::bigint / 4294967296.0::double as r from ({index}), (select range as l from range({scale}))"
+    return f"select sum(case when r >= {ab} then 1::bigint << l else 0 end)::bigint as src, sum(case when (r >= {a} and r < {ab}) or r >= {abc} then 1::bigint << l else 0 end)::bigint as dst from ({draws}) group by e"
+
+
+RAW["uniform10"] = _kron_other(10, 0.25, 0.5, 0.75, "select range as e from range(16384)")
+RAW["shuffled10"] = f"select a.at as src, b.at as dst from ({_kron(10, 'select range as e from range(16384)')}) x join (select range as v, row_number() over (order by md5('7:' || range), range) - 1 as at from range(1024)) a on a.v = x.src join (select range as v, row_number() over (order by md5('7:' || range), range) - 1 as at from range(1024)) b on b.v = x.dst"
+VERTICES["uniform10"] = VERTICES["shuffled10"] = "select range as v from range(1024)"
+for _s in (8, 10, 12, 14):
     RAW[f"kron{_s}"] = _kron(_s, f"select range as e from range({16 << _s})")
     VERTICES[f"kron{_s}"] = f"select range as v from range({1 << _s})"
 RAW["kron_orders"] = _kron(10, "select o_orderkey as e from orders")
@@ -73,6 +81,37 @@ def depth(levels: int = 12) -> str:
 depth as materialized (select v, min(d) as depth from reach group by v)"""
 
 
+def walk(alpha: int = 64, beta: int = 8) -> str:
+    """Level sizes and the direction of each step of the hybrid search."""
+    return f"""sizes as materialized (select depth as step, count(*) as nf, sum(deg) as mf from depth join deg using (v) group by depth),
+walk(step, direction, was_up) as (select 0, case when mf * {alpha} > (select sum(deg) from deg) - mf then 'bottom_up' else 'top_down' end, false from sizes where step = 0
+union all select s.step, case when w.direction = 'bottom_up' then case when s.nf * {beta} < (select count(*) from deg) then 'top_down' else 'bottom_up' end
+when w.was_up or s.nf <= b.nf then 'top_down' when s.mf * {alpha} > (select sum(deg) from deg) - (select sum(mf) from sizes z where z.step <= s.step) then 'bottom_up' else 'top_down' end, w.was_up or (w.direction = 'bottom_up' and s.nf * {beta} < (select count(*) from deg))
+from walk w join sizes s on s.step = w.step + 1 join sizes b on b.step = w.step)"""
+
+
+def many(k: int, levels: int = 9) -> str:
+    """Distances from the first k sampled sources."""
+    return f"""source_list as materialized (select v from deg order by md5('7:' || v), v limit {k}),
+far(root, v, d) as (select v, v, 0 from source_list union select root, a.dst, d + 1 from far join arcs a on a.src = far.v where d < {levels}),
+dist as materialized (select root, v, min(d) as d from far group by 1, 2)"""
+
+
+# arcs, degrees and distances under the labels of an order
+RELABELLED = """larcs as materialized (select x.label as src, y.label as dst from arcs join perm x on x.v = src join perm y on y.v = dst),
+ldeg as materialized (select src as v, count(*) as deg from larcs group by src)"""
+
+
+def traced(arcs: str, deg: str, dist: str, steps: tuple[int, ...] = (1, 2), bits: int = 64) -> str:
+    """Lines probed by bottom-up steps from all sources, each with the line before it."""
+    return f"""tlists as materialized (select a.src, a.dst, row_number() over (partition by a.src order by d.deg desc, a.dst) - 1 as place from {arcs} a join {deg} d on d.v = a.dst),
+wait as materialized (select s.v as root, step, g.v, e.d from source_list s cross join (values {', '.join(f'({k})' for k in steps)}) t(step) cross join {deg} g left join {dist} e on e.root = s.v and e.v = g.v where coalesce(e.d, 1000) > step),
+stops as materialized (select e.root, l.src as v, min(place) as stop from tlists l join {dist} e on e.v = l.dst join {dist} f on f.root = e.root and f.v = l.src and f.d = e.d + 1 group by 1, 2),
+trace as materialized (select root, step, v, 0 as i, v // {bits} as line from wait union all select w.root, step, w.v, place + 1, dst // {bits} from wait w join tlists l on l.src = w.v left join stops s on s.root = w.root and s.v = w.v where coalesce(w.d, 1000) <> step + 1 or place <= s.stop),
+counted as materialized (select root, line, lag(line) over (partition by root, step order by v, i) as was from trace),
+per_source as materialized (select root as source, count(*)::bigint as "references", count(*) filter (was is null or was <> line)::bigint as switches from counted group by 1)"""
+
+
 def comps(single: bool) -> str:
     """Component of each vertex with an arc; a graph known to be one component takes a shortcut."""
     if single:
