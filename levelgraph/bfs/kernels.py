@@ -89,15 +89,12 @@ def bottom_up(lists: DataFrame, visited, frontier, max_list: int = MAX_LIST) ->
         seen, now = visited.value, frontier.value
         for batch in batches:
             v = batch.column("v").to_numpy()
-            batch = batch.filter(pa.array(~_bit_rows(seen, v)))
+            waiting = np.flatnonzero(~_bit_rows(seen, v))
             flat, offsets = _lists(batch.column("nbrs"))
-            place = first_hits(now, flat, offsets[:-1], offsets[1:])
-            hit = np.flatnonzero(place >= 0)
+            place = first_hits(now, flat, offsets[waiting], offsets[waiting + 1])
+            hit, place = waiting[place >= 0], place[place >= 0]
             chunk = batch.column("chunk").to_numpy()[hit].astype(np.int64)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(batch.column("v").to_numpy()[hit]), pa.array(flat[offsets[hit] + place[hit]]), pa.array(place[hit] + chunk * max_list), pa.array(batch.column("deg").to_numpy()[hit])],
-                names=["v", "parent", "place", "deg"],
-            )
+            yield pa.RecordBatch.from_arrays([pa.array(v[hit]), pa.array(flat[offsets[hit] + place]), pa.array(place + chunk * max_list), pa.array(batch.column("deg").to_numpy()[hit])], names=["v", "parent", "place", "deg"])
 
     return lists.select("v", "chunk", "deg", "nbrs").mapInArrow(run, FOUND)
 
@@ -126,13 +123,12 @@ def top_down(lists: DataFrame, visited, frontier) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen, now = visited.value, frontier.value
         for batch in batches:
-            batch = batch.filter(pa.array(_bit_rows(now, batch.column("v").to_numpy())))
+            rows = np.flatnonzero(_bit_rows(now, batch.column("v").to_numpy()))
             flat, offsets = _lists(batch.column("nbrs"))
             degs, _ = _lists(batch.column("degs"))
-            n = np.diff(offsets)
-            inside = slice(int(offsets[0]), int(offsets[-1])) if len(offsets) else slice(0)
-            flat, degs = flat[inside], degs[inside]
-            owner = np.repeat(np.arange(len(n)), n)
+            n = offsets[rows + 1] - offsets[rows]
+            index = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + np.repeat(offsets[rows], n)
+            flat, degs, owner = flat[index], degs[index], np.repeat(rows, n)
             new = ~_bit_rows(seen, flat)
             flat, degs, owner = flat[new], degs[new], owner[new]
             src, src_deg = batch.column("v").to_numpy()[owner], batch.column("deg").to_numpy()[owner]

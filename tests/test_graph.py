@@ -134,3 +134,92 @@ def test_top_down_plan_does_not_shuffle_arcs(graph):
     level = graph.degrees.where("v = 1").select("v", F.lit(1).alias("parent"), F.lit(0).alias("depth"), "deg")
     plan = hybrid.top_down_step(graph.arcs, graph.degrees, level, level.limit(0), 1, 1)._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastHashJoin" in plan and "SinglePartition" not in plan.split("LocalLimit")[0]
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_every_form_of_search_gives_the_same_rows(spark, seed, monkeypatch):
+    """Joins, packed sets, split passes, chunked lists, executed slices and every range against a plain queue."""
+    import random
+
+    from levelgraph.bfs import kernels
+
+    rng = random.Random(seed)
+    edges = [(int(rng.random() ** 3 * 90), rng.randrange(90)) for _ in range(220)]
+    g = make(spark, edges, range(95))
+    source = edges[0][0] if edges[0][0] != edges[0][1] else edges[1][0]
+    want = toy.depths(edges, source)
+    first = None
+    forms = [dict(vectorized=False), dict(vectorized=True, block=64, lam=1), dict(vectorized=True, mode="bottom_up", block=1, lam=2), dict(vectorized=True, mode="top_down", trim=False), dict(vectorized=True, two_pass=False, ranges="equal", block=64), dict(phase_plan=("sliced", "full", "static")), dict(phase_plan=("static", "plain", "sliced")), dict(order="id")]
+    for options in forms:
+        run = hybrid.bfs(g, source, workers=3, **options)
+        rows = sorted(map(tuple, run.result.collect()))
+        first = first or rows
+        assert rows == first and {v: d for v, _, d in rows} == want, options
+    monkeypatch.setattr(kernels, "SPLIT_BYTES", 0)
+    split = hybrid.bfs(g, source, mode="bottom_up")
+    assert sorted(map(tuple, split.result.collect())) == first
+    whole = hybrid.bfs(g, source, mode="bottom_up", vectorized=False)
+    counts = lambda run: [(s["inspected_edges"], s["discovered"], s["top_hits"]) for s in run.steps]
+    assert counts(split) == counts(whole)
+    fresh = make(spark, edges, range(95))
+    monkeypatch.setattr(kernels, "MAX_LIST", 4)
+    lists, cuts = kernels.range_lists(fresh, fresh.totals["top"] + 1, 4, 16, "descending", 4)
+    assert lists.groupBy("v").count().agg(F.max("count")).first()[0] > 1
+    sc = spark.sparkContext
+    seen, now = ~fresh.packed(128), fresh.packed(128)
+    found = kernels.least_place(kernels.bottom_up(lists, sc.broadcast(seen & ~now), sc.broadcast(now), 4))
+    assert found.where("place <> 0").isEmpty() and found.count() == fresh.totals["n"]
+
+
+def test_packed_words():
+    import numpy as np
+
+    from levelgraph.bitmap import words as bw
+
+    rng = np.random.default_rng(0)
+    a, b = (np.unique(rng.integers(0, 3000, n)) for n in (200, 900))
+    x, y = bw.pack(a, 3000), bw.pack(b, 3000)
+    assert bw.unpack(x).tolist() == a.tolist() and bw.count(y) == len(b)
+    assert (bw.merge(x, y) == bw.merge_one_by_one(x, y)).all() and bw.unpack(bw.merge(x, y)).tolist() == sorted({*a, *b})
+    assert bw.holds(x, np.arange(3000)).nonzero()[0].tolist() == a.tolist()
+    for block in (1, 64, 512):
+        ranges = rg.label_ranges(3000, 7, block)
+        want = [(rid, min(free), max(free)) for rid, lo, hi in ranges if (free := [v for v in range(lo, hi) if v not in set(b.tolist())])]
+        assert bw.live_stretches(y, ranges) == want
+        if block == 512:  # a line of the sets belongs to one range
+            assert all(lo % 512 == 0 for _, lo, _ in ranges)
+
+
+def test_rank_and_order_variants(spark):
+    import random
+
+    rng = random.Random(9)
+    edges = [(rng.randrange(40), rng.randrange(40)) for _ in range(60)]
+    g = make(spark, edges, range(42))
+    for select in ("degree_asc", "visit_prefix"):
+        whole = lo.partial_level_order(g, 1.0, select)
+        assert pairs(whole, "v", "label") == pairs(lo.reverse_level_order(g), "v", "label")
+        assert lo.bijection_violations(lo.partial_level_order(g, 0.4, select), 42).isEmpty()
+    perm = lo.reverse_level_order(g)
+    assert all(k == v for k, v in pairs(lo.perm_compose(perm, lo.perm_invert(perm)), "v", "label").items())
+    peripheral = lo.reverse_level_order(g, start="pseudo_peripheral")
+    assert lo.bijection_violations(peripheral, 42).isEmpty()
+
+
+def test_lru_against_a_replay(spark):
+    import random
+    from collections import OrderedDict
+
+    rng = random.Random(4)
+    lines = [int(rng.random() ** 2 * 12) for _ in range(500)]
+    trace = spark.createDataFrame([(k // 7, k % 7, line) for k, line in enumerate(lines)], "v long, i long, line long")
+    for capacity in (1, 3, 8):
+        cache, misses = OrderedDict(), 0
+        for line in lines:
+            misses += line not in cache
+            cache.pop(line, None)
+            cache[line] = 1
+            if len(cache) > capacity:
+                cache.popitem(last=False)
+        assert tuple(work.line_misses(trace, capacity).first()) == (500, misses)
+    assert work.line_switches(trace).first()["switches"] == work.line_misses(trace, 1).first()["misses"]
