@@ -1,12 +1,17 @@
 """MinHash near-duplicate groups by a signature-coordinate inverted join.
 
-Every distinct shingle set gets a signature of ``BANDS * MERGED`` minimum hashes and is posted
-under (coordinate, value).  Postings of ``MERGED`` neighbouring coordinates are merged before
-any pair is formed (prefix merging: a posting key names the coordinates and all their values), so
-a value that many unrelated texts share seldom meets in one list.  Collisions over the whole
-signature are then counted, eight coordinates to a word, inside the join condition: a pair that
-cannot reach the threshold by size or has fewer equal coordinates than :func:`least_equal` asks for is
-skipped.  The others are confirmed on their full shingle sets.
+Every distinct shingle set gets a signature of ``COORDINATES`` minimum hashes and is posted under
+each (coordinate, value).  Two sets at the threshold similarity or above collide in ``least`` of
+the coordinates at least (see :func:`least_equal`).  So
+
+* a set with fewer than ``least`` values that some other set has too is skipped altogether;
+* the others post only a prefix: with their values by length of the posting list, shortest first,
+  all but the ``least - 1`` longest lists.  Two sets with ``least`` collisions meet in a list of both
+  prefixes, and lists of common passages are never merged where rarer ones decide.
+
+Collisions over the whole signature are then counted, eight coordinates to a word, inside the join
+condition: a pair that cannot reach the threshold by size or has fewer than ``least`` collisions is
+dropped.  The others are confirmed on their full shingle sets.
 
 Texts that still share a list with another component also get a finer signature, so that pairs
 far below the threshold, of which large groups of heavily edited copies have many, are told from
@@ -15,14 +20,14 @@ close ones before their sets are brought together.
 Two passes keep hot lists linear.  The first links each text to the head (least id) of each of
 its lists.  The second looks only at lists that still hold several components and pairs texts
 of different components there; a list of thousands of copies of one text is by then a single
-component and forms no pair.  No candidate is capped or dropped.
+component and forms no pair.  Long open lists are cut into blocks whose pairs are dealt to
+different tasks.  No candidate is capped or dropped.
 
 Texts never move between machines: what has to be looked at again is named by a bit filter of
 bounded size, and each task expands the sets of its own texts that pass it.
 
-A pair at exactly the threshold similarity 0.75 meets in no list with a probability of 6e-7, and
-has too few of 78 equal coordinates with one of about 2e-6; both fall
-steeply above it.  The finer signature misses it with one of 3e-7.
+A pair at exactly the threshold similarity 0.75 has too few of 64 equal coordinates with a
+probability of 4e-7, and fewer above it.  The finer signature misses it with one of 3e-7.
 """
 
 from __future__ import annotations
@@ -41,15 +46,16 @@ from levelgraph.runtime import discard, materialize
 
 SHINGLE_WORDS = 5
 THRESHOLD_PERCENT = 75
-BANDS = 26
-MERGED = 3
+COORDINATES = 64
 LANES = 8
+# members of a block of an open list: pairs of blocks are dealt to tasks
+BLOCK = 4096
 FINE = 1024
 # a pair at the threshold falls this many standard deviations short of the expected collisions at most
 DEVIATIONS = 5.0
 SEED = 20240607
 
-SIGNED = "doc_id long, n_shingles long, f1 long, f2 long, keys array<long>, lanes array<long>"
+SIGNED = "doc_id long, n_shingles long, f1 long, f2 long, values array<int>, lanes array<long>"
 FINER = "doc_id long, fine array<long>"
 SETS = "doc_id long, shingles array<long>"
 
@@ -94,34 +100,30 @@ def _long(column: str) -> F.Column:
 
 def _lists(table: np.ndarray) -> pa.Array:
     n, width = table.shape
-    return pa.ListArray.from_arrays(pa.array(np.arange(0, n * width + 1, width, dtype=np.int32)), pa.array(table.view(np.int64).ravel()))
+    return pa.ListArray.from_arrays(pa.array(np.arange(0, n * width + 1, width, dtype=np.int32)), pa.array(table.ravel()))
 
 
-def sign(docs: DataFrame, bands: int = BANDS, merged: int = MERGED, seed: int = SEED, size: int = SHINGLE_WORDS) -> DataFrame:
-    """Set size, set fingerprint, merged posting keys and packed signature of each document."""
-    words = -(-bands * merged // LANES)
+def sign(docs: DataFrame, coordinates: int = COORDINATES, seed: int = SEED, size: int = SHINGLE_WORDS) -> DataFrame:
+    """Set size, set fingerprint, signature and packed signature of each document."""
+    words = -(-coordinates // LANES)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        mult, add = _parameters(bands * merged, seed)
-        salt = tx.mix(np.arange(1, bands + 1, dtype=np.uint64))
+        mult, add = _parameters(coordinates, seed)
         for batch in tx.slices(batches, "text"):
             sets = shingle_sets(batch.column("text"), size)
             n = np.array([len(s) for s in sets], dtype=np.int64)
             f = np.zeros((len(sets), 2), dtype=np.uint64)
-            low = np.zeros((len(sets), bands * merged), dtype=np.uint32)
+            low = np.zeros((len(sets), coordinates), dtype=np.uint32)
             with np.errstate(over="ignore"):
                 for i, s in enumerate(sets):
                     if len(s):
                         f[i] = s.sum(dtype=np.uint64), np.bitwise_xor.reduce(tx.mix(s))
                         low[i] = signature(s, mult, add)
-                keys = np.broadcast_to(salt, (len(sets), bands))
-                for k in range(merged):
-                    keys = tx.mix(keys ^ low[:, k::merged].astype(np.uint64))
                 lanes = np.zeros((len(sets), words * LANES), dtype=np.uint8)
-                lanes[:, : bands * merged] = (low * np.uint32(0x9E3779B1)) >> np.uint32(24)
+                lanes[:, :coordinates] = (low * np.uint32(0x9E3779B1)) >> np.uint32(24)
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), pa.array(n), pa.array(f[:, 0].copy().view(np.int64)), pa.array(f[:, 1].copy().view(np.int64)), _lists(np.ascontiguousarray(keys)), _lists(lanes.view(np.uint64))],
-                names=["doc_id", "n_shingles", "f1", "f2", "keys", "lanes"],
+                [batch.column("doc_id"), pa.array(n), pa.array(f[:, 0].copy().view(np.int64)), pa.array(f[:, 1].copy().view(np.int64)), _lists(low.view(np.int32)), _lists(lanes.view(np.int64))],
+                names=["doc_id", "n_shingles", "f1", "f2", "values", "lanes"],
             )
 
     return docs.select(_long("doc_id").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, SIGNED)
@@ -133,17 +135,16 @@ def least_equal(coordinates: int, percent: int, values: int = 256) -> int:
     return max(1, int(coordinates * p - DEVIATIONS * (coordinates * p * (1 - p)) ** 0.5))
 
 
-def _likely(a: str, b: str, percent: int, bands: int, merged: int, least: int) -> F.Column:
-    """Whether the sizes allow the similarity and enough coordinates of two signatures are equal."""
-    words = -(-bands * merged // LANES)
+def _likely(a: str, b: str, percent: int, coordinates: int, least: int) -> F.Column:
+    """Whether the sizes allow the similarity and at least ``least`` coordinates of two signatures are equal."""
     fits = F.expr(f"100 * least({a}.n, {b}.n) >= {percent} * greatest({a}.n, {b}.n)")
     unequal = F.lit(0)
-    for k in range(words):
+    for k in range(-(-coordinates // LANES)):
         x = F.col(f"{a}.lanes")[k].bitwiseXOR(F.col(f"{b}.lanes")[k])
         for shift in (4, 2, 1):
             x = x.bitwiseOR(F.shiftrightunsigned(x, shift))
         unequal = unequal + F.bit_count(x.bitwiseAND(F.lit(0x0101010101010101)))
-    return fits & (unequal <= bands * merged - least)
+    return fits & (unequal <= coordinates - least)
 
 
 def _finely_equal(a: str, b: str) -> F.Column:
@@ -195,7 +196,7 @@ def sign_finely(docs: DataFrame, ids: DataFrame, seed: int = SEED, size: int = S
                 if len(s):
                     nibbles[i] = (signature(s, mult, add) * np.uint32(0x9E3779B1)) >> np.uint32(28)
         packed = nibbles[:, 0::2] | (nibbles[:, 1::2] << np.uint8(4))
-        return _lists(np.ascontiguousarray(packed).view(np.uint64))
+        return _lists(np.ascontiguousarray(packed).view(np.int64))
 
     return _expand(docs, ids, build, size, FINER)
 
@@ -219,13 +220,26 @@ def _confirm(pairs: DataFrame, docs: DataFrame, percent: int, size: int) -> Data
     return links
 
 
+def prefix_posts(firsts: DataFrame, least: int) -> DataFrame:
+    """``doc, key``: the (coordinate, value) lists under which each set is posted.
+
+    Of ``firsts`` (``rep, values``).  Only values that two sets share make lists at all; sets with
+    fewer than ``least`` of them are skipped, the others leave out their ``least - 1`` longest lists."""
+    posts = firsts.select(F.col("rep").alias("doc"), F.posexplode("values").alias("at", "value"))
+    posts = posts.select("doc", F.shiftleft(F.col("at").cast("long"), 32).bitwiseOR(F.col("value").cast("long").bitwiseAND(F.lit(0xFFFFFFFF))).alias("key"))
+    lengths = posts.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
+    mine = posts.join(lengths, "key").groupBy("doc").agg(F.collect_list(F.struct("n", "key")).alias("posts"))  # one entry a coordinate
+    prefix = F.slice(F.array_sort("posts"), F.lit(1), F.size("posts") - (least - 1))
+    return mine.where(F.size("posts") >= least).select("doc", F.explode(prefix["key"]).alias("key"))
+
+
 def near_duplicate_groups(
     docs: DataFrame,
     percent: int = THRESHOLD_PERCENT,
-    bands: int = BANDS,
-    merged: int = MERGED,
+    coordinates: int = COORDINATES,
     size: int = SHINGLE_WORDS,
     seed: int = SEED,
+    block: int = BLOCK,
 ) -> DataFrame:
     """Near-duplicate component of each row of ``docs`` (needs ``doc_id`` and ``text``).
 
@@ -235,16 +249,18 @@ def near_duplicate_groups(
     they are kept.  Rows that repeat an id count as one document.  Other columns are ignored.
     An empty table gives an empty result.
     """
-    signed = materialize(sign(docs, bands, merged, seed, size), "signed")
+    least = least_equal(coordinates, percent)
+    signed = materialize(sign(docs, coordinates, seed, size), "signed")
     sets = signed.where("n_shingles > 0 and doc_id is not null")
     same = ["n_shingles", "f1", "f2"]
-    firsts = sets.groupBy(*same).agg(F.min(F.struct("doc_id", "keys", "lanes")).alias("x"))
-    firsts = materialize(firsts.select(*same, F.col("x.doc_id").alias("rep"), "x.keys", "x.lanes"), "firsts")
-    traits = firsts.select(F.col("rep").alias("doc"), F.struct(F.col("n_shingles").alias("n"), "lanes", "keys").alias("t"))
-    posts = firsts.select(F.col("rep").alias("doc"), F.posexplode("keys").alias("band", "key"))
+    firsts = sets.groupBy(*same).agg(F.min(F.struct("doc_id", "values", "lanes")).alias("x"))
+    firsts = materialize(firsts.select(*same, F.col("x.doc_id").alias("rep"), "x.values", "x.lanes"), "firsts")
+    traits = firsts.select(F.col("rep").alias("doc"), F.struct(F.col("n_shingles").alias("n"), "lanes").alias("t"))
+    posts = materialize(prefix_posts(firsts, least), "posts")
     heads = posts.groupBy("key").agg(F.min("doc").alias("head"), F.count("*").alias("n")).where("n > 1").drop("n")
-    shared = materialize(posts.join(heads, "key").select("key", "band", "doc", "head"), "shared")
-    likely = _likely("ta", "tb", percent, bands, merged, least_equal(bands * merged, percent))
+    shared = materialize(posts.join(heads, "key").select("key", "doc", "head"), "shared")
+    discard(posts)
+    likely = _likely("ta", "tb", percent, coordinates, least)
 
     def with_traits(pairs: DataFrame, column: str, name: str) -> DataFrame:
         return pairs.join(traits.select(F.col("doc").alias(column), F.col("t").alias(name)), column)
@@ -256,36 +272,40 @@ def near_duplicate_groups(
 
     placed = (
         shared.join(comps.withColumnRenamed("v", "doc"), "doc", "left")
-        .select("key", "band", "doc", "head", F.coalesce("comp", "doc").alias("comp"))
+        .select("key", "doc", "head", F.coalesce("comp", "doc").alias("comp"))
     )
     placed = materialize(placed, "placed")
-    open_lists = placed.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
-    members = materialize(placed.join(open_lists, "key", "left_semi"), "members")
+    open_lists = placed.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("n")).where("lo <> hi")
+    open_lists = open_lists.select("key", F.ceil(F.col("n") / block).cast("int").alias("blocks"))
+    members = materialize(placed.join(open_lists, "key").select("key", "doc", "head", "comp", "blocks"), "members")
     fine = sign_finely(docs, members.select(F.col("doc").alias("doc_id")).distinct(), seed, size)
     fine = materialize(fine.withColumnRenamed("doc_id", "doc"), "fine")
+    # a member goes to every pair of blocks that has its own: a list of one block is one group, a longer one many of bounded size
+    own = F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")
+    members = members.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    members = members.withColumns({"lo": F.least("own", "other"), "hi": F.greatest("own", "other")})
     members = with_traits(members, "doc", "t").join(fine, "doc")
-    a = members.select("key", "band", F.col("doc").alias("a"), F.col("comp").alias("ca"), F.col("t").alias("ta"), F.col("fine").alias("fa"), "head")
-    b = members.select(F.col("key").alias("kb"), F.col("doc").alias("b"), F.col("comp").alias("cb"), F.col("t").alias("tb"), F.col("fine").alias("fb"))
-    # a pair with the head of its list has been confirmed or refused already; others count in their first common list only
-    new = (F.col("key") == F.col("kb")) & (F.col("ca") < F.col("cb")) & (F.col("a") != F.col("head")) & (F.col("b") != F.col("head"))
-    for k in range(bands - 1):
-        new = new & ((F.col("band") <= k) | (F.col("ta.keys")[k] != F.col("tb.keys")[k]))
+    cell = ["key", "lo", "hi"]
+    a = members.select(*cell, F.col("doc").alias("a"), F.col("comp").alias("ca"), F.col("t").alias("ta"), F.col("fine").alias("fa"), F.col("own").alias("oa"), "head")
+    b = members.select(*cell, F.col("doc").alias("b"), F.col("comp").alias("cb"), F.col("t").alias("tb"), F.col("fine").alias("fb"), F.col("own").alias("ob"))
+    # a pair with the head of its list has been confirmed or refused already
+    new = (F.col("ca") < F.col("cb")) & (F.col("a") != F.col("head")) & (F.col("b") != F.col("head")) & ((F.col("lo") == F.col("hi")) | (F.col("oa") != F.col("ob")))
     close = _finely_equal("fa", "fb") >= least_equal(FINE, percent, 16)
-    pairs = a.join(b, new & likely & close).select("a", "b")
+    pairs = a.join(b, cell).where(new & likely & close).select("a", "b").distinct()
     more = _confirm(pairs, docs, percent, size)
     comps = materialize(star_contraction(links.union(more), "a", "b"), "comps")
 
     reps = firsts.select(*same, "rep").join(comps.withColumnRenamed("v", "rep"), "rep", "left")
     reps = reps.select(*same, F.coalesce("comp", "rep").alias("comp"))
     out = (
-        signed.drop("keys", "lanes").join(reps, same, "left")
+        signed.drop("values", "lanes").join(reps, same, "left")
         .select(
             "doc_id", "n_shingles",
             F.when(F.col("doc_id").isNotNull(), F.when(F.col("n_shingles") > 0, F.col("comp")).otherwise(F.col("doc_id"))).alias("component_id"),
         )
         .withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
     )
-    for table in (shared, placed, fine):
+    for table in (shared, placed, fine, links, more):
         discard(table)
     return out
 
