@@ -13,21 +13,20 @@ Collisions over the whole signature are then counted, eight coordinates to a wor
 condition: a pair that cannot reach the threshold by size or has fewer than ``least`` collisions is
 dropped.  The others are confirmed on their full shingle sets.
 
-Texts that still share a list with another component also get a finer signature, so that pairs
-far below the threshold, of which large groups of heavily edited copies have many, are told from
-close ones before their sets are brought together.
-
-Two passes keep hot lists linear.  The first links each text to the head (least id) of each of
-its lists.  The second looks only at lists that still hold several components and pairs texts
-of different components there; a list of thousands of copies of one text is by then a single
-component and forms no pair.  Long open lists are cut into blocks whose pairs are dealt to
-different tasks.  No candidate is capped or dropped.
+Two passes keep hot lists linear.  The first links each text to the head (least id) of each of its
+lists, of single coordinates and of ``MERGED`` neighbouring ones together, which large groups of
+edited copies share in many small lists.  The second looks only at merged lists that still hold
+several components and pairs texts of different components there; a list of thousands of copies of
+one text is by then a single component and forms no pair.  Long open lists are cut into blocks whose
+pairs are dealt to different tasks.  There a finer signature tells pairs far below the threshold
+from close ones before their sets are brought together.  No candidate is capped or dropped.
 
 Texts never move between machines: what has to be looked at again is named by a bit filter of
 bounded size, and each task expands the sets of its own texts that pass it.
 
-A pair at exactly the threshold similarity 0.75 has too few of 64 equal coordinates with a
-probability of 4e-7, and fewer above it.  The finer signature misses it with one of 3e-7.
+A pair at exactly the threshold similarity 0.75 has too few of 78 equal coordinates with a
+probability of about 2e-6 and meets in no merged list with one of 6e-7; both fall steeply above it.
+The finer signature misses it with one of 3e-7.
 """
 
 from __future__ import annotations
@@ -46,7 +45,8 @@ from levelgraph.runtime import discard, materialize
 
 SHINGLE_WORDS = 5
 THRESHOLD_PERCENT = 75
-COORDINATES = 64
+COORDINATES = 78
+MERGED = 3
 LANES = 8
 # members of a block of an open list: pairs of blocks are dealt to tasks
 BLOCK = 4096
@@ -239,6 +239,7 @@ def near_duplicate_groups(
     coordinates: int = COORDINATES,
     size: int = SHINGLE_WORDS,
     seed: int = SEED,
+    merged: int = MERGED,
     block: int = BLOCK,
 ) -> DataFrame:
     """Near-duplicate component of each row of ``docs`` (needs ``doc_id`` and ``text``).
@@ -255,43 +256,53 @@ def near_duplicate_groups(
     same = ["n_shingles", "f1", "f2"]
     firsts = sets.groupBy(*same).agg(F.min(F.struct("doc_id", "values", "lanes")).alias("x"))
     firsts = materialize(firsts.select(*same, F.col("x.doc_id").alias("rep"), "x.values", "x.lanes"), "firsts")
-    traits = firsts.select(F.col("rep").alias("doc"), F.struct(F.col("n_shingles").alias("n"), "lanes").alias("t"))
     posts = materialize(prefix_posts(firsts, least), "posts")
     heads = posts.groupBy("key").agg(F.min("doc").alias("head"), F.count("*").alias("n")).where("n > 1").drop("n")
-    shared = materialize(posts.join(heads, "key").select("key", "doc", "head"), "shared")
+    single = materialize(posts.join(heads, "key").select("doc", "head"), "single")
     discard(posts)
+    bands = coordinates // merged
+    keys = F.array(*[F.xxhash64(F.lit(k), *[F.col("values")[merged * k + j] for j in range(merged)]) for k in range(bands)])
+    traits = firsts.join(single.select(F.col("doc").alias("rep")).distinct(), "rep", "left_semi")
+    traits = materialize(traits.select(F.col("rep").alias("doc"), F.struct(F.col("n_shingles").alias("n"), "lanes", keys.alias("keys")).alias("t")), "traits")
+    posts = traits.select("doc", F.posexplode("t.keys").alias("band", "key"))
+    heads = posts.groupBy("key").agg(F.min("doc").alias("head"), F.count("*").alias("n")).where("n > 1").drop("n")
+    shared = materialize(posts.join(heads, "key").select("key", "band", "doc", "head"), "shared")
     likely = _likely("ta", "tb", percent, coordinates, least)
 
     def with_traits(pairs: DataFrame, column: str, name: str) -> DataFrame:
         return pairs.join(traits.select(F.col("doc").alias(column), F.col("t").alias(name)), column)
 
-    stars = shared.where("doc <> head").select(F.col("doc").alias("a"), F.col("head").alias("b")).distinct()
+    stars = single.union(shared.select("doc", "head")).where("doc <> head").select(F.col("doc").alias("a"), F.col("head").alias("b")).distinct()
     stars = with_traits(with_traits(stars, "a", "ta"), "b", "tb").where(likely).select("a", "b")
     links = _confirm(stars, docs, percent, size)
     comps = star_contraction(links, "a", "b")
 
     placed = (
         shared.join(comps.withColumnRenamed("v", "doc"), "doc", "left")
-        .select("key", "doc", "head", F.coalesce("comp", "doc").alias("comp"))
+        .select("key", "band", "doc", "head", F.coalesce("comp", "doc").alias("comp"))
     )
     placed = materialize(placed, "placed")
     open_lists = placed.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("n")).where("lo <> hi")
     open_lists = open_lists.select("key", F.ceil(F.col("n") / block).cast("int").alias("blocks"))
-    members = materialize(placed.join(open_lists, "key").select("key", "doc", "head", "comp", "blocks"), "members")
+    members = materialize(placed.join(open_lists, "key").select("key", "band", "doc", "head", "comp", "blocks"), "members")
     fine = sign_finely(docs, members.select(F.col("doc").alias("doc_id")).distinct(), seed, size)
     fine = materialize(fine.withColumnRenamed("doc_id", "doc"), "fine")
     # a member goes to every pair of blocks that has its own: a list of one block is one group, a longer one many of bounded size
     own = F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int")
-    members = members.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    members = members.withColumns({"lo": F.least("own", "other"), "hi": F.greatest("own", "other")})
-    members = with_traits(members, "doc", "t").join(fine, "doc")
+    dealt = members.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.withColumns({"lo": F.least("own", "other"), "hi": F.greatest("own", "other")})
+    dealt = with_traits(dealt, "doc", "t").join(fine, "doc")
     cell = ["key", "lo", "hi"]
-    a = members.select(*cell, F.col("doc").alias("a"), F.col("comp").alias("ca"), F.col("t").alias("ta"), F.col("fine").alias("fa"), F.col("own").alias("oa"), "head")
-    b = members.select(*cell, F.col("doc").alias("b"), F.col("comp").alias("cb"), F.col("t").alias("tb"), F.col("fine").alias("fb"), F.col("own").alias("ob"))
-    # a pair with the head of its list has been confirmed or refused already
+    a = dealt.select(*cell, "band", F.col("doc").alias("a"), F.col("comp").alias("ca"), F.col("t").alias("ta"), F.col("fine").alias("fa"), F.col("own").alias("oa"), "head")
+    b = dealt.select(*[F.col(c).alias(f"{c}_b") for c in cell], F.col("doc").alias("b"), F.col("comp").alias("cb"), F.col("t").alias("tb"), F.col("fine").alias("fb"), F.col("own").alias("ob"))
+    # a pair with the head of its list has been confirmed or refused already; others count in their first common list only
     new = (F.col("ca") < F.col("cb")) & (F.col("a") != F.col("head")) & (F.col("b") != F.col("head")) & ((F.col("lo") == F.col("hi")) | (F.col("oa") != F.col("ob")))
+    for c in cell:
+        new = (F.col(c) == F.col(f"{c}_b")) & new
+    for k in range(bands - 1):
+        new = new & ((F.col("band") <= k) | (F.col("ta.keys")[k] != F.col("tb.keys")[k]))
     close = _finely_equal("fa", "fb") >= least_equal(FINE, percent, 16)
-    pairs = a.join(b, cell).where(new & likely & close).select("a", "b").distinct()
+    pairs = a.join(b, new & likely & close).select("a", "b")
     more = _confirm(pairs, docs, percent, size)
     comps = materialize(star_contraction(links.union(more), "a", "b"), "comps")
 
@@ -305,7 +316,7 @@ def near_duplicate_groups(
         )
         .withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
     )
-    for table in (shared, placed, fine, links, more):
+    for table in (single, traits, shared, placed, members, fine, links, more):
         discard(table)
     return out
 
