@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from levelgraph.balance.ranges import default_lambda, label_ranges
 from levelgraph.bfs import kernels
 from levelgraph.bitmap import words as bw
-from levelgraph.graph.build import Graph
+from levelgraph.graph.build import Graph, with_places
 from levelgraph.graph.rank import global_rank
 from levelgraph.plans.switch import ALPHA, BETA, StepState, choose
 from levelgraph.runtime import discard, materialize
@@ -54,8 +54,7 @@ def lists_in_order(graph: Graph, order: str) -> DataFrame:
     keys = {"deg_asc": ["dst_deg", "dst"], "id": ["dst"]}[order]
     held = graph.__dict__.setdefault("_lists", {})
     if order not in held:
-        place = (F.row_number().over(Window.partitionBy("src").orderBy(*keys)) - 1).cast("long")
-        held[order] = materialize(graph.ranked_arcs.withColumn("place", place), f"{graph.name}_lists_{order}")
+        held[order] = materialize(with_places(graph.ranked_arcs.drop("place"), keys, graph.totals["max"]), f"{graph.name}_lists_{order}")
     return held[order]
 
 

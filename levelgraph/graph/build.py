@@ -12,6 +12,8 @@ from levelgraph.graph.rank import global_rank
 from levelgraph.runtime import materialize
 
 RAW = ("src", "dst")
+# arcs of a list that one task numbers at most
+HUB_LIST = 1 << 20
 
 
 def require_columns(df: DataFrame, *names: str) -> DataFrame:
@@ -72,8 +74,8 @@ class Graph:
         decreasing degree (ties by id); place 0 is the top neighbour."""
         d = self.degrees
         both = self.arcs.join(d.select(F.col("v").alias("dst"), F.col("deg").alias("dst_deg")), "dst").join(d.select(F.col("v").alias("src"), "deg"), "src")
-        place = F.row_number().over(Window.partitionBy("src").orderBy(F.desc("dst_deg"), "dst")) - 1
-        return materialize(both.withColumn("place", place.cast("long")).select("src", "dst", "deg", "dst_deg", "place"), f"{self.name}_lists")
+        placed = with_places(both, [F.desc("dst_deg"), "dst"], self.totals["max"])
+        return materialize(placed.select("src", "dst", "deg", "dst_deg", "place"), f"{self.name}_lists")
 
     @cached_property
     def totals(self) -> dict:
@@ -108,6 +110,21 @@ class Graph:
         return out.select("vertices", "non_isolated", "raw_edges", F.coalesce("loops", F.lit(0)).alias("loops"), F.coalesce("simple_edges", F.lit(0)).alias("simple_edges"), F.coalesce("max_degree", F.lit(0)).alias("max_degree"))
 
 
+def with_places(rows: DataFrame, order: list, most: int) -> DataFrame:
+    """Adds ``place``: position in the list of ``src`` under ``order``; rows hold ``src`` and ``deg``, ``most`` is the longest list.
+
+    Lists up to ``HUB_LIST`` are numbered in one task each; those of hubs through one range sort of
+    all their arcs, so no list is too long for a task."""
+    numbered = rows.where(F.col("deg") <= HUB_LIST) if most > HUB_LIST else rows
+    numbered = numbered.withColumn("place", (F.row_number().over(Window.partitionBy("src").orderBy(*order)) - 1).cast("long"))
+    if most <= HUB_LIST:
+        return numbered
+    ranked = global_rank(rows.where(F.col("deg") > HUB_LIST), ["src", *order], "_rank")
+    first = F.broadcast(ranked.groupBy("src").agg(F.min("_rank").alias("_first")))  # a row a hub: all arcs / HUB_LIST at most
+    hubs = ranked.join(first, "src").withColumn("place", F.col("_rank") - F.col("_first"))
+    return numbered.unionByName(hubs.select(*numbered.columns))
+
+
 def degree_histogram(graph: Graph) -> DataFrame:
     zero = graph.isolated().agg(F.count("*").alias("n")).select(F.lit(0).cast("long").alias("deg"), "n").where("n > 0")
     return graph.degrees.groupBy("deg").agg(F.count("*").alias("n")).union(zero)
@@ -159,7 +176,7 @@ def adjacency(graph: Graph, order: str = "deg_desc", max_list: int = 65536) -> D
     """Neighbour lists ``v, chunk, deg, nbrs`` by ``id``, ``deg_asc`` or ``deg_desc``; long lists are cut
     into numbered chunks, so a hub is several rows of bounded size."""
     keys = {"id": ["dst"], "deg_asc": ["dst_deg", "dst"], "deg_desc": [F.desc("dst_deg"), "dst"]}[order]
-    placed = graph.ranked_arcs.withColumn("at", F.row_number().over(Window.partitionBy("src").orderBy(*keys)) - 1)
+    placed = with_places(graph.ranked_arcs.drop("place"), keys, graph.totals["max"]).withColumnRenamed("place", "at")
     lists = placed.groupBy(F.col("src").alias("v"), F.expr(f"at div {max_list}").alias("chunk")).agg(F.first("deg").alias("deg"), F.array_sort(F.collect_list(F.struct("at", "dst"))).alias("x"))
     return lists.select("v", "chunk", "deg", F.col("x.dst").alias("nbrs"))
 

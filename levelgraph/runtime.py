@@ -18,19 +18,38 @@ _own_root: str | None = None
 
 
 def shared_root(spark: SparkSession) -> str:
-    """Folder for intermediate tables: ``spark.checkpoint.dir``, or one of our own if unset."""
+    """Folder for intermediate tables: ``spark.checkpoint.dir``; in local mode one of our own if unset.
+
+    On a cluster a folder of one machine would be lost with it, so the setting must be there."""
     global _own_root
     configured = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if configured:
         return configured.rstrip("/")
+    master = spark.sparkContext.master
+    if not master.startswith("local") or master.startswith("local-cluster"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if _own_root is None:
         _own_root = tempfile.mkdtemp(prefix="levelgraph-")
         atexit.register(shutil.rmtree, _own_root, ignore_errors=True)
     return f"file://{_own_root}"
 
 
+def _folder(spark: SparkSession) -> str:
+    return f"{shared_root(spark)}/levelgraph/{spark.sparkContext.applicationId}"
+
+
 def new_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_root(spark)}/levelgraph/{tag}-{uuid.uuid4().hex}"
+    return f"{_folder(spark)}/{tag}-{uuid.uuid4().hex}"
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
+    hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
+
+
+def release(spark: SparkSession) -> None:
+    """Delete every intermediate table of this application; results that were not written elsewhere go with them."""
+    _delete(spark, _folder(spark))
 
 
 def materialize(df: DataFrame, tag: str, partition_by: tuple[str, ...] = ()) -> DataFrame:
@@ -51,9 +70,7 @@ def discard(df: DataFrame | None) -> None:
     path = getattr(df, "_levelgraph_path", None)
     if path is None:
         return
-    spark = df.sparkSession
-    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
-    hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
+    _delete(df.sparkSession, path)
 
 
 def shuffle_partitions(spark: SparkSession) -> int:

@@ -44,6 +44,19 @@ def read_graph(spark: SparkSession, path: str, name: str = "stored") -> Graph:
     return graph
 
 
+def write_table(df: DataFrame, path: str, kind: str = "parquet") -> None:
+    """A report or an edge list as parquet, orc, json or csv (with a header)."""
+    if kind not in ("parquet", "orc", "json", "csv"):
+        raise ValueError(f"unknown format {kind!r}")
+    writer = df.write.mode("overwrite").format(kind)
+    (writer.option("header", True) if kind == "csv" else writer).save(path)
+
+
+def save_bucketed(graph: Graph, table: str, buckets: int = 64) -> None:
+    """Arcs as a catalogue table bucketed and sorted by ``src``: joins on ``src`` with equal buckets need no shuffle."""
+    graph.arcs.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src", "dst").saveAsTable(table)
+
+
 def register_views(graph: Graph, prefix: str = "") -> None:
     for name in ("vertices", "edges", "arcs", "degrees"):
         getattr(graph, name).createOrReplaceTempView(f"{prefix}{name}")
