@@ -58,14 +58,20 @@ STAGES = [
     ("token_output", write_token_ids),
 ]
 
-# A conditional random field and a tokenizer are outside SQL.  Tests hold the operators of the stages
-# against plain Python one by one; run() as a whole is not compared.
+# A conditional random field and a tokenizer are outside SQL; tests hold run() against plain Python.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``, each written as Parquet to the shared folder and read again."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for name, stage in STAGES[:-1]:
-        docs = materialize(stage(spark, docs, sf_dir), name)
-    return STAGES[-1][1](spark, docs, sf_dir)
+    """All stages over ``documents``, each written as Parquet to the shared folder and read again.
+
+    The session's batch size is as it was afterwards."""
+    setting = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(setting)
+    try:
+        docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+        for name, stage in STAGES:
+            docs = materialize(stage(spark, docs, sf_dir), name)
+    finally:
+        spark.conf.set(setting, before)
+    return docs
