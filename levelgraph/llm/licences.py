@@ -40,6 +40,13 @@ TEMPLATES = (
     ("mpl-2.0", "this source code form is subject to the terms of the mozilla public license v 2 0", "mozilla public license v 2"),
     ("bsd", "redistribution and use in source and binary forms are permitted", "redistribution and use in source and binary forms"),
     ("proprietary", "copyright c all rights reserved", "all rights reserved"),
+    ("isc", "permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted", "distribute this software for any purpose with or without fee"),
+    ("unlicense", "this is free and unencumbered software released into the public domain", "unencumbered software released into the public domain"),
+    ("zlib", "this software is provided as is without any express or implied warranty in no event will the authors be held liable for any damages", "will the authors be held liable for any damages"),
+    ("bsl-1.0", "distributed under the boost software license version 1 0", "boost software license version 1"),
+    ("agpl-3.0", "under the gnu affero general public license version 3", "affero general public license version 3"),
+    ("agpl-3.0", "under the terms of the gnu affero general public license as published by the free software foundation either version 3 of the license", "gnu affero general public license as published by the free software foundation either version 3"),
+    ("epl-2.0", "eclipse public license v 2 0", "eclipse public license v 2"),
     # bare names: the whole name is both template and key phrase
     *((label, name, name) for label, names in (
         ("apache-2.0", ("apache license version 2", "apache license 2", "apache license v2", "apache license v 2")),
@@ -49,6 +56,7 @@ TEMPLATES = (
         ("cc-by-nc", ("cc by nc",)),
         ("cc-by-sa", ("cc by sa",)),
         ("cc-by", ("creative commons attribution license", *(f"creative commons attribution {v}" for v in ("1 0", "2 0", "2 5", "3 0", "4 0")))),
+        ("epl-2.0", ("eclipse public license 2", "eclipse public license v2", "eclipse public license version 2")),
         ("mpl-2.0", ("mozilla public license version 2", "mozilla public license 2", "mozilla public license v2", "mozilla public license v 2")),
         ("proprietary", ("all rights reserved",)),
     ) for name in names),

@@ -1,8 +1,8 @@
 """Quality rules and a calibrated hashed n-gram classifier, scored in Arrow batches.
 
 The rules count symbols, repeated lines and repeated word windows.  The classifier is a logistic
-regression on hashed words and hashed byte 4-grams (means over a text, so length does not
-matter), fitted on labelled quality rows and calibrated on rows it has not seen.  A text is kept
+regression on hashed words and hashed 4-grams of characters inside words, word ends included (means
+over a text, so length does not matter), fitted on labelled quality rows and calibrated on rows it has not seen.  A text is kept
 if no rule fails and its calibrated probability reaches a fixed threshold.
 """
 
@@ -13,7 +13,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from levelgraph.llm import learning as ln
@@ -43,8 +43,8 @@ class Model:
 
     def score(self, w: tx.Words, h: np.ndarray) -> np.ndarray:
         z = self.bias + _mean(self.words[_word_slot(h)], w.first, w.counts)
-        value, n = _gram_sums(w, self.grams)
-        z = z + np.divide(value, n, out=np.zeros(len(n)), where=n > 0) * SCALE
+        grams, first = _grams(w)
+        z = z + _mean(self.grams[grams], first, np.diff(first))
         return ln.sigmoid(self.slope * z + self.shift)
 
 
@@ -52,13 +52,30 @@ def _word_slot(h: np.ndarray) -> np.ndarray:
     return (h >> np.uint64(64 - BITS)).astype(np.int64)
 
 
-def _gram_slot(data: np.ndarray) -> np.ndarray:
-    """Hashed slot of the 4 bytes from each position on."""
-    d = data.astype(np.uint32)
-    g = d[:-3] | (d[1:-2] << np.uint32(8)) | (d[2:-1] << np.uint32(16)) | (d[3:] << np.uint32(24))
+def _grams(w: tx.Words) -> tuple[np.ndarray, np.ndarray]:
+    """Hashed slots of the 4-grams of characters of each text in order, and where each text's begin.
+
+    A gram lies in one word with the blanks on either side of it, so words of two characters or more
+    have grams; other white space counts as a blank."""
+    data = np.where(tx.SPACE[w.data], np.uint8(0x20), w.data)
+    cuts = w.offsets[1:-1]
+    # a blank between texts, so that the ends of a text's words are seen too
+    data = np.insert(data, np.concatenate([[0], cuts, [len(data)]]).astype(np.int64), 0x20) if len(w.offsets) > 1 else data
+    points = np.frombuffer(data.tobytes().decode("utf-8", "replace").encode("utf-32-le"), dtype=np.uint32)
+    before = np.concatenate([[0], np.cumsum(LEAD[data], dtype=np.int64)])
+    edges = before[w.offsets + np.arange(len(w.offsets))]  # the blank before each text, and the one after the last
+    if len(points) < 4:
+        return np.empty(0, np.uint32), np.zeros(len(w.offsets), np.int64)
+    blank = points == 0x20
+    inside = ~(blank[1:-2] | blank[2:-1])
     with np.errstate(over="ignore"):
+        g = points[:-3] * np.uint32(0x9E3779B1)
+        for k in (1, 2, 3):
+            g = (g ^ points[k : len(points) - 3 + k]) * np.uint32(0x85EBCA6B)
+            g ^= g >> np.uint32(15)
         g = g * np.uint32(0x9E3779B1)
-    return g >> np.uint32(32 - BITS)
+    at = np.flatnonzero(inside)
+    return (g[at] >> np.uint32(32 - BITS)), np.searchsorted(at, edges)
 
 
 def _sums(values: np.ndarray, first: np.ndarray) -> np.ndarray:
@@ -70,34 +87,20 @@ def _mean(values: np.ndarray, first: np.ndarray, n: np.ndarray) -> np.ndarray:
     return np.divide(_sums(values, first), n, out=np.zeros(len(n)), where=n > 0) * SCALE
 
 
-def _gram_limits(w: tx.Words, total: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    lo = np.minimum(w.offsets[:-1], total)
-    hi = np.clip(w.offsets[1:] - 3, lo, total)
-    return lo, hi, hi - lo
-
-
-def _gram_sums(w: tx.Words, table: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    if len(w.data) < 4:
-        zero = np.zeros(len(w.counts))
-        return zero, zero
-    total = np.concatenate([[0.0], np.cumsum(table[_gram_slot(w.data)], dtype=np.float64)])
-    lo, hi, n = _gram_limits(w, len(total) - 1)
-    return total[hi] - total[lo], n
-
-
 def _features(batch: pa.RecordBatch) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     w = tx.words(batch.column("text"))
     slots = _word_slot(w.hashes())
-    grams = _gram_slot(w.data) if len(w.data) >= 4 else np.empty(0, np.uint32)
-    lo, hi, _ = _gram_limits(w, len(grams))
+    grams, first = _grams(w)
     for i in range(batch.num_rows):
         a, na = np.unique(slots[w.first[i] : w.first[i + 1]], return_counts=True)
-        b, nb = np.unique(grams[lo[i] : hi[i]], return_counts=True)
+        b, nb = np.unique(grams[first[i] : first[i + 1]], return_counts=True)
         yield np.concatenate([a, b.astype(np.int64) + (1 << BITS)]), np.concatenate([na / max(na.sum(), 1), nb / max(nb.sum(), 1)]) * SCALE
 
 
-def fit(docs: DataFrame, labels: DataFrame, per_class: int = 1500) -> Model:
-    """Fit on at most ``per_class`` labelled rows of each class; a fifth of them only calibrates."""
+def fit(docs: DataFrame, labels: DataFrame, per_class: int = 1500, allowed: Column | None = None) -> Model:
+    """Fit on at most ``per_class`` labelled rows of each class; a fifth of them only calibrates.
+
+    ``allowed`` (over ``doc_id``) keeps rows out of the fit, to measure on."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in tx.slices(batches, "text"):
@@ -107,7 +110,7 @@ def fit(docs: DataFrame, labels: DataFrame, per_class: int = 1500) -> Model:
                 names=["label", "at", "columns", "values"],
             )
 
-    sample = ln.labelled_sample(docs, labels, "quality", F.lit(True), per_class)
+    sample = ln.labelled_sample(docs, labels, "quality", F.lit(True) if allowed is None else allowed, per_class)
     table = sample.mapInArrow(run, ROWS).toArrow()
     size = 2 << BITS
     y = table.column("label").to_numpy().astype(float) if table.num_rows else np.empty(0)
