@@ -62,7 +62,7 @@ TEMPLATES = (
     ) for name in names),
 )
 # Words too common in any text to be posted.
-COMMON = ("a", "and", "any", "are", "by", "can", "free", "in", "is", "it", "of", "or", "the", "this", "to", "under", "use", "with", "you", "work", "c", "v", "0")
+COMMON = ("a", "and", "any", "are", "by", "can", "free", "in", "is", "it", "of", "or", "as", "be", "for", "from", "no", "into", "will", "the", "this", "to", "under", "use", "with", "you", "work", "c", "v", "0")
 MIN_SHARE = 0.75
 
 
