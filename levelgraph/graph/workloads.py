@@ -6,12 +6,16 @@ from collections.abc import Callable
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from levelgraph.graph.build import Graph, edges_from
 from levelgraph.graph.kronecker import kronecker, kronecker_from
 from levelgraph.graph.rank import global_rank
+from levelgraph.runtime import materialize
+
+# words of an item that find the texts that may hold it
+SEED_WORDS = 4
 
 
 def _table(spark: SparkSession, sf: str, name: str) -> DataFrame:
@@ -110,17 +114,45 @@ def vector_sim(spark: SparkSession, sf: str, above: float = 0.45, block: int = 1
     return Graph(dealt.groupBy("lo", "hi").applyInPandas(pairs, "src long, dst long"), _ids((vectors, "vec_id")), "vector_sim")
 
 
-def bench_overlap(spark: SparkSession, sf: str, pass_bytes: int = 32_000_000) -> Graph:
-    """Documents and the benchmark items whose text they contain; items go to the executors in bounded passes."""
+def _windows(words: Column) -> Column:
+    """Hashes of all runs of ``SEED_WORDS`` words, each once."""
+    at = F.sequence(F.lit(1), F.size(words) - (SEED_WORDS - 1))
+    hashes = F.array_distinct(F.transform(at, lambda i: F.xxhash64(F.array_join(F.slice(words, i, SEED_WORDS), " "))))
+    return F.when(F.size(words) >= SEED_WORDS, hashes).otherwise(F.array().cast("array<bigint>"))
+
+
+def containment(docs: DataFrame, items: DataFrame, pass_bytes: int = 32_000_000) -> DataFrame:
+    """Pairs ``doc_id, item_id`` of rows with ``text`` containing ``item``.
+
+    The words of an item between its first and last blank stand whole in any text that holds it, so
+    the run of them that fewest items share is its seed: one scan of the texts meets all seeds in an
+    equi-join on hashes, and only the pairs it finds are compared.  Items with too few words for a
+    seed are compared with every text, ``pass_bytes`` of them at a time."""
+    words = F.split("item", " ")
+    split = items.where("item is not null").select("item_id", "item", F.slice(words, F.lit(2), F.greatest(F.size(words) - 2, F.lit(0))).alias("inner"))
+    seeded = F.size("inner") >= SEED_WORDS
+    seeds = split.where(seeded).select("item_id", "item", F.explode(_windows(F.col("inner"))).alias("seed"))
+    shared = seeds.groupBy("seed").agg(F.count("*").alias("n"))
+    rarest = seeds.select("item_id", F.md5(F.col("item").cast("binary")).alias("h"), "seed").join(shared, "seed").groupBy("item_id", "h").agg(F.min(F.struct("n", "seed")).alias("x"))
+    rarest = materialize(rarest.select("item_id", F.col("x.seed").alias("seed")), "item_seeds")
+    # the words are a column of their own, so they are split once and not for each run
+    met = docs.select("doc_id", F.split("text", " ").alias("words")).select("doc_id", F.explode(_windows(F.col("words"))).alias("seed")).join(rarest, "seed")
+    met = materialize(met.select("doc_id", "item_id").distinct(), "item_candidates")
+    whole = docs.join(met, "doc_id").join(split.where(seeded).select("item_id", "item"), "item_id").where(F.col("text").contains(F.col("item")))
+    found = whole.select("doc_id", "item_id")
+    short = split.where(~seeded).select("item_id", "item")
+    passes = -(-short.agg(F.coalesce(F.sum(F.octet_length("item") + 1), F.lit(0))).first()[0] // pass_bytes)
+    for k in range(passes):
+        part = F.broadcast(short.where(F.pmod(F.xxhash64("item_id"), F.lit(passes)) == k))
+        found = found.union(docs.join(part, F.col("text").contains(F.col("item"))).select("doc_id", "item_id"))
+    return found
+
+
+def bench_overlap(spark: SparkSession, sf: str) -> Graph:
+    """Documents and the benchmark items whose text they contain."""
     docs = _table(spark, sf, "documents").select("doc_id", "text")
     items = _table(spark, sf, "benchmark").select("item_id", F.col("text").alias("item"))
-    passes = max(1, -(-(items.agg(F.sum(F.octet_length("item"))).first()[0] or 0) // pass_bytes))
-    raw = None
-    for k in range(passes):
-        part = F.broadcast(items.where(F.pmod(F.xxhash64("item_id"), F.lit(passes)) == k))
-        hits = edges_from(docs.join(part, F.col("text").contains(F.col("item"))), "2 * doc_id", "2 * item_id + 1")
-        raw = hits if raw is None else raw.union(hits)
-    return Graph(raw, _ids((docs, "2 * doc_id"), (items, "2 * item_id + 1")), "bench_overlap")
+    return Graph(edges_from(containment(docs, items), "2 * doc_id", "2 * item_id + 1"), _ids((docs, "2 * doc_id"), (items, "2 * item_id + 1")), "bench_overlap")
 
 
 GRAPHS: dict[str, Callable[[SparkSession, str], Graph]] = {

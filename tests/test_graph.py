@@ -56,6 +56,8 @@ def test_order_against_queue(spark):
     for cap in (0, 5):
         perm = lo.reverse_level_order(g, isolated="drop", small_cap=cap)
         assert [r["v"] for r in perm.orderBy(F.desc("label")).collect()] == order
+    far = lo.reverse_level_order(g, start="pseudo_peripheral", isolated="drop")
+    assert [r["v"] for r in far.orderBy(F.desc("label")).collect()] == toy.visit(edges, toy.peripheral) != order
 
 
 @pytest.mark.parametrize("options", [dict(mode="top_down"), dict(mode="bottom_up"), dict(mode="bottom_up", two_pass=False, trim=False), dict(mode="hybrid"), dict(mode="bottom_up", order="deg_asc")])

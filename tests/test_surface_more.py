@@ -101,3 +101,18 @@ def test_late_rows_are_dropped(spark, tmp_path):
     events = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
     counts = _drain(stream.windowed_counts(stream.user_type_edges(events, "1 day"), "1 day").select(F.dayofmonth("start").alias("day"), "edges"), "late", "update")
     assert {d for d, _ in counts} == {2, 5, 6}
+
+
+def test_containment_against_plain_python(spark):
+    from levelgraph.graph.workloads import containment
+
+    words = "one two three four five six seven eight nine ten".split()
+    run = " ".join(words)
+    texts = [run, f"x{run}y {run}", f"prefix {run}", " ".join(words[2:]), "one  two three four  five six seven", "", None, "short one", "ab" * 40, f"{run} tail", f"a\n{run}\nb"]
+    items = [run, "ne two three four five six sev", "three four five six seven eight nine", "two", "one two three four five", "hort", "  two three four  five six seven", "", None, run, "no such words stand in these texts at all", "ab" * 3, "four five six seven eight nine t"]
+    docs = spark.createDataFrame([(k % 9, t) for k, t in enumerate(texts)], "doc_id long, text string")
+    bench = spark.createDataFrame([(k % 11, t) for k, t in enumerate(items)], "item_id long, item string")
+    got = sorted((r["doc_id"], r["item_id"]) for r in containment(docs, bench).collect())
+    assert got == sorted((d % 9, i % 11) for d, t in enumerate(texts) for i, x in enumerate(items) if t is not None and x is not None and x in t)
+    assert containment(docs, bench.limit(0)).count() == 0 and containment(docs.limit(0), bench).count() == 0
+    assert sorted((r["doc_id"], r["item_id"]) for r in containment(docs, bench, pass_bytes=4).collect()) == got

@@ -15,7 +15,24 @@ def lists(edges):
     return out
 
 
-def visit(edges):
+def far_end(edges, seed):
+    """Eccentricity of a vertex, and the least (degree, id) among the vertices farthest from it."""
+    adj, d = lists(edges), depths(edges, seed)
+    ecc = max(d.values())
+    return ecc, min((len(adj[v]), v) for v in d if d[v] == ecc)[1]
+
+
+def peripheral(edges, seed):
+    """The vertex from which walking to the far end stops raising the eccentricity."""
+    ecc, end = far_end(edges, seed)
+    while True:
+        grown, next_end = far_end(edges, end)
+        if grown <= ecc:
+            return seed
+        seed, ecc, end = end, grown, next_end
+
+
+def visit(edges, start=lambda edges, seed: seed):
     """Sequential visit: components by least (degree, id), children by (degree, id)."""
     adj = lists(edges)
     deg = {v: len(n) for v, n in adj.items()}
@@ -23,6 +40,7 @@ def visit(edges):
     for seed in sorted(adj, key=lambda v: (deg[v], v)):
         if seed in seen:
             continue
+        seed = start(edges, seed)
         seen.add(seed)
         queue = deque([seed])
         while queue:
