@@ -116,3 +116,15 @@ def test_containment_against_plain_python(spark):
     assert got == sorted((d % 9, i % 11) for d, t in enumerate(texts) for i, x in enumerate(items) if t is not None and x is not None and x in t)
     assert containment(docs, bench.limit(0)).count() == 0 and containment(docs.limit(0), bench).count() == 0
     assert sorted((r["doc_id"], r["item_id"]) for r in containment(docs, bench, pass_bytes=4).collect()) == got
+
+
+def test_sql_search_over_a_hub(spark):
+    """Two steps over a hub of 1100 leaves are more walks than a session lets a recursive query make."""
+    from levelgraph.bfs.sql_search import recursive_depths
+
+    raw = spark.createDataFrame([(0, v) for v in range(1, 1101)] + [(1100, 1101), (1101, 1102), (1102, 1103)], "src long, dst long")
+    g = build.Graph(raw, spark.range(1104).withColumnRenamed("id", "v"), "hub")
+    want = {1: 0, 0: 1} | {v: 2 for v in range(2, 1101)} | {1101: 3, 1102: 4}
+    assert {r["v"]: r["depth"] for r in recursive_depths(g, 1, 4).collect()} == want
+    assert {r["v"]: r["depth"] for r in recursive_depths(g, 1103, 0).collect()} == {1103: 0}
+    assert {r["v"]: r["depth"] for r in recursive_depths(g, 0, 1).collect()} == {v: int(v > 0) for v in range(1101)}
