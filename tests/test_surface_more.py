@@ -128,3 +128,25 @@ def test_sql_search_over_a_hub(spark):
     assert {r["v"]: r["depth"] for r in recursive_depths(g, 1, 4).collect()} == want
     assert {r["v"]: r["depth"] for r in recursive_depths(g, 1103, 0).collect()} == {1103: 0}
     assert {r["v"]: r["depth"] for r in recursive_depths(g, 0, 1).collect()} == {v: int(v > 0) for v in range(1101)}
+
+
+@pytest.mark.parametrize("sets", [1 << 26, 1])
+def test_switches_without_a_trace(spark, monkeypatch, sets):
+    """References and switches of several searches from scans of the lists, as from the whole trace, which no scan makes."""
+    from levelgraph.bfs import hybrid
+    from levelgraph.measure import work
+
+    rng = np.random.default_rng(3)
+    edges = [(int(a), int(b)) for a, b in rng.integers(0, 900, (1500, 2))] + [(7, int(v)) for v in range(60, 700, 3)] + [(2001, 2002)]
+    g = build.Graph(spark.createDataFrame(edges, "src long, dst long"), spark.range(2100).withColumnRenamed("id", "v"), "switches")
+    depths = hybrid.bfs_many(g, [7, 2001, 60]).localCheckpoint()
+    want = sorted(map(tuple, work.switches_by_source(work.probe_traces(g, depths, (1, 2))).collect()))
+    monkeypatch.setattr(work, "probe_traces", None)
+    monkeypatch.setattr(work, "SET_BYTES", sets)
+    near = hybrid.bfs_many(g, [7, 2001, 60], max_depth=2)
+    assert sorted(map(tuple, work.source_switches(g, near, (1, 2)).collect())) == want and len(want) == 3
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
+    try:
+        assert sorted(map(tuple, work.source_switches(g, near, (1, 2)).collect())) == want
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
