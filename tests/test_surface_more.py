@@ -154,6 +154,7 @@ def test_switches_without_a_trace(spark, monkeypatch, sets):
 
 # queries whose data were made up before: old name where it named another graph
 MOVED = {
+    "energy_returned_purchase": "energy_published",
     "hybrid_steps_returned_purchase": "hybrid_steps_kron10",
     "degree_by_label_natural_supply": "degree_by_label_natural_kron10",
     "edge_share_supply": "edge_share_kron10",
